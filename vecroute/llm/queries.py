@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from vecroute.llm import boosting, collisions, fertility, labeller, mixing, packing, sharding, simhash, templates
+from vecroute.llm import boosting, collisions, fertility, labeller, licences, mixing, packing, sharding, simhash, templates
 from vecroute.runtime import ship, table
 
 
@@ -37,6 +37,10 @@ def op5_recurrent_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return labeller.extract(table(spark, sf_dir, "pages"))
 
 
+def op6_licence_sentences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan(table(spark, sf_dir, "documents"))
+
+
 def op7_collision_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     ship(spark)
     return collisions.near_vectors(table(spark, sf_dir, "embeddings"))
@@ -63,5 +67,5 @@ def op10_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_fertility_rules, op2_tiered_packing, op3_stratified_shards, op4_boosted_quality, op5_recurrent_extraction, op7_collision_neighbours, op8_template_chat, op9_pfair_mixing, op10_simhash_groups)}
-ORACLES: dict[str, str] = {}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_fertility_rules, op2_tiered_packing, op3_stratified_shards, op4_boosted_quality, op5_recurrent_extraction, op6_licence_sentences, op7_collision_neighbours, op8_template_chat, op9_pfair_mixing, op10_simhash_groups)}
+ORACLES: dict[str, str] = {"op6_licence_sentences": licences.oracle_sql()}
