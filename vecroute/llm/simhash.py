@@ -33,6 +33,8 @@ from vecroute.runtime import Workspace
 RADIUS = 3
 SHINGLE = 3
 HASH_SEED = 42
+#: Most (query, node) pairs that a walk holds at a time.
+FRONTIER = 1 << 15
 
 
 def shingle_hashes(text: str | None, width: int = SHINGLE, seed: int = HASH_SEED) -> np.ndarray:
@@ -124,8 +126,10 @@ def _shard_links(radius: int):
         if not tree_at.size or not query_at.size:
             return None
         tree = BKTree(values[tree_at])
-        for at in range(0, query_at.size, 256):
-            part = query_at[at : at + 256]
+        # In a shard of near copies a walk visits most of the tree: bound its frontier.
+        at_once = max(1, FRONTIER // tree_at.size)
+        for at in range(0, query_at.size, at_once):
+            part = query_at[at : at + at_once]
             q, x = tree.within(values[part], radius)
             forest.link(part[q], tree_at[x])
         roots = forest.roots()
