@@ -16,7 +16,7 @@ SQL = {
     "emb_scaled": "SELECT vec_id AS item_id, list_transform(CAST(embedding AS DOUBLE[]), lambda x: x * pow(2.0, ((vec_id * 7919) % 1000) / 250.0 - 2)) AS vec FROM embeddings",
     "line5": "SELECT row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_extendedprice) AS item_id, [l_quantity / 50, l_extendedprice / 105000, l_discount * 10, l_tax * 12.5, date_diff('day', DATE '1995-01-01', CAST(l_shipdate AS DATE)) / 2500.0] AS vec FROM lineitem",
     "letters": "SELECT doc_id AS item_id, [" + ", ".join(f"CAST(length(lower(text)) - length(replace(lower(text), '{c}', '')) AS DOUBLE)" for c in LETTERS) + "] AS vec FROM documents",
-    "hashtext": "WITH t AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS w FROM documents), h AS (SELECT doc_id, CAST('0x' || substr(md5(w), 1, 8) AS BIGINT) AS h FROM t), b AS (SELECT doc_id, h % 64 AS b, SUM(CASE WHEN (h // 65536) % 2 = 1 THEN 1.0 ELSE -1.0 END) AS s FROM h GROUP BY 1, 2), m AS (SELECT doc_id, map_from_entries(list((b, s))) AS m FROM b GROUP BY 1) SELECT d.doc_id AS item_id, list_transform(range(0, 64), lambda i: coalesce(m.m[i], 0.0)) AS vec FROM documents d LEFT JOIN m ON d.doc_id = m.doc_id",
+    "hashtext": "WITH t AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS w FROM documents), h AS (SELECT doc_id, CAST('0x' || substr(md5(w), 1, 8) AS BIGINT) AS h FROM t), b AS (SELECT doc_id, h % 64 AS b, SUM(CASE WHEN (h // 65536) % 2 = 1 THEN 1e0 ELSE -1e0 END) AS s FROM h GROUP BY 1, 2), m AS (SELECT doc_id, map_from_entries(list((b, s))) AS m FROM b GROUP BY 1) SELECT d.doc_id AS item_id, list_transform(range(0, 64), lambda i: coalesce(m.m[i], 0e0)) AS vec FROM documents d LEFT JOIN m ON d.doc_id = m.doc_id",
     "partvec": "SELECT p_partkey AS item_id, [p_size / 50.0, p_retailprice / 1000.0] || list_transform(range(0, 6), lambda i: CASE WHEN i = list_position(['STANDARD', 'SMALL', 'MEDIUM', 'LARGE', 'ECONOMY', 'PROMO'], split_part(p_type, ' ', 1)) - 1 THEN 1.0 ELSE 0.0 END) || list_transform(range(0, 4), lambda i: CASE WHEN i = CAST('0x' || substr(md5(p_brand), 1, 8) AS BIGINT) % 4 THEN 1.0 ELSE 0.0 END) AS vec FROM part",
     "eventvec": "SELECT event_id AS item_id, [value / 100.0, hour(ts) / 24.0, COALESCE(CAST(json_extract_string(props, '$.k') AS DOUBLE), 0.0) / 100.0] || list_transform(range(0, 5), lambda i: CASE WHEN i = CAST('0x' || substr(md5(event_type), 1, 8) AS BIGINT) % 5 THEN 1.0 ELSE 0.0 END) AS vec FROM events",
 }
