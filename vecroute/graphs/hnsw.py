@@ -266,19 +266,44 @@ def build(ids: np.ndarray, x: np.ndarray, metric: str = "l2", degree: int = 16,
     return repair(graph) if mend and reverse_edges else graph
 
 
-def build_bulk(ids: np.ndarray, x: np.ndarray, metric: str = "l2", degree: int = 16, degree0: int = 32, seed: int = 42, block: int = 512) -> Graph:
-    """The same kind of graph from blocked exact neighbours per layer: matrix products in place of walks."""
+def _diverse_rows(x: np.ndarray, metric: str, worth: np.ndarray, candidates: np.ndarray, degree: int) -> np.ndarray:
+    """``_diverse`` for many bases at once; rows of candidates (best first), -1 for none."""
+    rows, pool = candidates.shape
+    c = x[np.maximum(candidates, 0)]
+    between = np.einsum("rid,rjd->rij", c, c, optimize=True)
+    if metric == "l2":
+        size = np.einsum("rii->ri", between).copy()
+        between *= 2
+        between -= size[:, :, None]
+        between -= size[:, None, :]
+    closest, kept, count = np.full((rows, pool), -np.inf), np.zeros((rows, pool), bool), np.zeros(rows, np.int64)
+    for i in range(pool):
+        take = (candidates[:, i] >= 0) & (count < degree) & (worth[:, i] > closest[:, i])
+        kept[:, i] = take
+        count += take
+        closest[take] = np.maximum(closest[take], between[take, :, i])
+    order = np.argsort(np.where(candidates < 0, 2, np.where(kept, 0, 1)), axis=1, kind="stable")[:, :degree]
+    return np.take_along_axis(candidates, order, 1)
+
+
+def build_bulk(ids: np.ndarray, x: np.ndarray, metric: str = "l2", degree: int = 16, degree0: int = 32, seed: int = 42, block: int = 256) -> Graph:
+    """The same kind of graph from blocked exact neighbours per layer: matrix products in place of walks.
+
+    Half of a node's links go to diverse near neighbours, the other half is filled with
+    the nearest of those that link to it.
+    """
     ids, x = _ordered(ids, x, metric)
     level = draw_level(ids, seed, degree)
-    links: list[dict[int, list[int]]] = []
+    square = (x * x).sum(axis=1)
+    layers: list[Layer] = []
     for t in range(int(level.max(initial=0)) + 1):
         nodes = np.flatnonzero(level >= t)
-        width = degree0 if t == 0 else degree
-        pool = min(2 * width, nodes.size - 1)
-        out: list[list[int]] = [[] for _ in range(nodes.size)]
-        chosen = np.full((nodes.size, width // 2), -1, np.int64)
-        for s in range(0, nodes.size if pool > 0 else 0, block):
-            g = rank_matrix(x[nodes[s : s + block]], x[nodes], metric)
+        n, width = nodes.size, degree0 if t == 0 else degree
+        half, pool = width // 2, min(2 * width, nodes.size - 1)
+        near = x[nodes]
+        chosen = np.full((n, half), -1, np.int64)
+        for s in range(0, n if pool > 0 else 0, block):
+            g = rank_matrix(near[s : s + block], near, metric)
             rows = np.arange(g.shape[0])
             g[rows, rows + s] = -np.inf
             part = np.argpartition(-g, pool - 1, axis=1)[:, :pool]
@@ -286,28 +311,29 @@ def build_bulk(ids: np.ndarray, x: np.ndarray, metric: str = "l2", degree: int =
             order = np.lexsort((part, -value), axis=1)
             part, value = np.take_along_axis(part, order, 1), np.take_along_axis(value, order, 1)
             if metric == "l2":
-                value = value - (x[nodes[s : s + block]] ** 2).sum(axis=1)[:, None]
-            for i in rows:
-                kept = _diverse(x[nodes], metric, value[i], part[i], width // 2)
-                chosen[s + i, : kept.size] = kept
-        for i in range(nodes.size):
-            out[i] = [int(u) for u in chosen[i] if u >= 0]
-        back: list[list[int]] = [[] for _ in range(nodes.size)]
-        for i, mine in enumerate(out):
-            for u in mine:
-                back[u].append(i)
-        adjacency = {}
-        for i in range(nodes.size):
-            known = set(out[i])
-            extra = [u for u in back[i] if u not in known]
-            room = width - len(out[i])
-            if len(extra) > room:
-                g = rank_matrix(x[nodes[i]][None, :], x[nodes[extra]], metric)[0]
-                extra = [extra[j] for j in np.lexsort((extra, -g))[:room]]
-            adjacency[int(nodes[i])] = [int(nodes[u]) for u in out[i] + extra]
-        links.append(adjacency)
+                value = value - square[nodes[s : s + block]][:, None]
+            found = _diverse_rows(near, metric, value, part, half)
+            chosen[s : s + block, : found.shape[1]] = found
+        links = np.full((n, width), -1, np.int64)
+        links[:, :half] = chosen
+        source, column = np.nonzero(chosen >= 0)
+        target = chosen[source, column]
+        if target.size:
+            fresh = ~(chosen[target] == source[:, None]).any(axis=1)
+            source, target = source[fresh], target[fresh]
+            gain = np.concatenate([np.einsum("ij,ij->i", near[target[i : i + 65536]], near[source[i : i + 65536]]) for i in range(0, target.size, 65536)]) if target.size else np.zeros(0)
+            if metric == "l2":
+                gain = 2 * gain - square[nodes[source]]
+            order = np.lexsort((source, -gain, target))
+            source, target = source[order], target[order]
+            place = np.arange(target.size) - np.searchsorted(target, target, "left") + half
+            room = place < width
+            links[target[room], place[room]] = source[room]
+        links = np.where(links >= 0, nodes[np.maximum(links, 0)], -1)
+        order = np.argsort(links < 0, axis=1, kind="stable")
+        layers.append(Layer(nodes, np.take_along_axis(links, order, 1)))
     top = np.flatnonzero(level == level.max(initial=0))
-    graph = _pack(ids, x, metric, links or [{}], int(top[0]) if top.size else -1, degree, degree0)
+    graph = Graph(ids, x, metric, layers, int(top[0]) if top.size else -1, degree, degree0)
     return repair(graph)
 
 

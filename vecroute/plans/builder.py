@@ -11,7 +11,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from vecroute.functions import vectors
+from vecroute.functions import kernels, vectors
 from vecroute.plans import centers as center_plans
 from vecroute.plans import cutgraph, mips, router, sampling, search
 from vecroute.runtime import Workspace, ship
@@ -39,6 +39,8 @@ class Params:
     kmeans_iters: int = 10
     seed: int = 42
     builder: str = "auto"
+    hot_k: int = 1
+    split_heavy: bool = True
 
     def __post_init__(self) -> None:
         if self.metric not in vectors.METRICS:
@@ -74,9 +76,12 @@ def choose_centers(items: DataFrame, p: Params, sample_queries: DataFrame | None
     else:
         found = center_plans.kmeans(sample, p.m, p.kmeans_iters, p.seed, spherical)
     ids, matrix = center_plans.as_matrix(found)
+    if p.split_heavy and p.centers == "kmeans" and p.w > 1:
+        matrix = split_heavy(sample, matrix, p, spherical)
+        ids = np.arange(len(matrix))
     fixed = center_plans.as_frame(items.sparkSession, matrix)
     if sample_queries is not None:
-        return center_plans.weight_by_queries(sample_queries, fixed, 10, p.metric)
+        return center_plans.weight_by_queries(sample_queries, fixed, p.hot_k, p.metric)
     if p.centers == "unweighted":
         return fixed
     meta = router.MetaIndex(ids, matrix, ids.astype(np.int32), p.metric, bulk=True)
@@ -84,6 +89,45 @@ def choose_centers(items: DataFrame, p: Params, sample_queries: DataFrame | None
     return fixed.drop("weight").join(members, "center_id", "left").select("center_id", "vec", F.coalesce("weight", F.lit(0.0)).alias("weight"))
 
 
+#: Most sample rows of a heavy centre that its split looks at, and rounds of splitting.
+SPLIT_ROWS, SPLIT_ROUNDS = 4000, 6
+
+
+def split_heavy(sample: DataFrame, matrix: np.ndarray, p: Params, spherical: bool) -> np.ndarray:
+    """Centres with more than half an ideal part are split in two, so that parts can be balanced.
+
+    Members come from the sample, at most ``SPLIT_ROWS`` by hash; copies of one vector
+    cannot be split.
+    """
+    done: set[int] = set()
+    for _ in range(SPLIT_ROUNDS):
+        meta = router.MetaIndex(np.arange(len(matrix)), matrix, np.arange(len(matrix), dtype=np.int32), p.metric, bulk=True)
+        near = router.assign(sample, meta)
+        counts = {r.sub_id: r.n for r in near.groupBy("sub_id").agg(F.count(F.lit(1)).alias("n")).collect()}
+        most = sum(counts.values()) / p.w / 2
+        heavy = [c for c, n in sorted(counts.items()) if n > most and c not in done]
+        if not heavy:
+            break
+        rows = near.where(F.col("sub_id").isin(heavy)).select("sub_id", "vec", F.xxhash64("item_id").alias("h")).orderBy("h").limit(SPLIT_ROWS * len(heavy)).collect()
+        for c in heavy:
+            x = np.array([r.vec for r in rows if r.sub_id == c])
+            x = kernels.unit(x) if spherical else x
+            spread = ((x - x.mean(axis=0)) ** 2).sum(axis=1) if len(x) else np.zeros(0)
+            if not len(x) or spread.max() < 1e-12:
+                done.add(c)
+                continue
+            a, b = x[spread.argmax()], x[((x - x[spread.argmax()]) ** 2).sum(axis=1).argmax()]
+            for _ in range(8):
+                side = ((x - a) ** 2).sum(axis=1) <= ((x - b) ** 2).sum(axis=1)
+                if side.all() or not side.any():
+                    break
+                a, b = x[side].mean(axis=0), x[~side].mean(axis=0)
+            a, b = (kernels.unit(a), kernels.unit(b)) if spherical else (a, b)
+            matrix = np.concatenate([matrix, b[None, :]])
+            matrix[c] = a
+    return matrix
+
+
 def cut_centers(centers: DataFrame, p: Params) -> tuple[DataFrame, router.MetaIndex, dict]:
     """Centres with their part, the routing graph, and what the cut measured."""
     rows = centers.orderBy("center_id").collect()  # m rows, a parameter
