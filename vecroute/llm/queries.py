@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from vecroute.llm import boosting, collisions, fertility, labeller, licences, mixing, packing, sharding, simhash, templates
+from vecroute.llm import boosting, collisions, fertility, labeller, licences, mixing, oracles, packing, sharding, simhash, templates
 from vecroute.runtime import ship, table
 
 
@@ -68,4 +68,11 @@ def op10_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_fertility_rules, op2_tiered_packing, op3_stratified_shards, op4_boosted_quality, op5_recurrent_extraction, op6_licence_sentences, op7_collision_neighbours, op8_template_chat, op9_pfair_mixing, op10_simhash_groups)}
-ORACLES: dict[str, str] = {"op6_licence_sentences": licences.oracle_sql()}
+#: Tokens, trained models and XXH64 have no SQL; those queries are held against brute force in the tests.
+ORACLES: dict[str, str] = {
+    "op3_stratified_shards": oracles.shards_sql(),
+    "op6_licence_sentences": licences.oracle_sql(),
+    "op7_collision_neighbours": oracles.collisions_sql(),
+    "op8_template_chat": oracles.chat_sql(HOSTILE),
+    "op9_pfair_mixing": oracles.mixing_sql(),
+}
