@@ -9,7 +9,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, DoubleType
+from pyspark.sql.types import ArrayType, DoubleType, LongType
 
 from vecroute.functions import kernels
 from vecroute.graphs import hnsw
@@ -37,7 +37,7 @@ def vec_mean(v: pd.Series) -> list[float]:
     return np.stack(v.to_numpy()).astype(float).mean(axis=0).tolist()
 
 
-@F.pandas_udf("array<long>")
+@F.pandas_udf(ArrayType(LongType()))
 def top_ids(item_id: pd.Series, score: pd.Series) -> list[int]:
     """Grouped aggregate: ids by falling score, ties to the smaller."""
     return item_id.to_numpy()[np.lexsort((item_id.to_numpy(), -score.to_numpy()))].tolist()
