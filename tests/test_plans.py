@@ -140,8 +140,7 @@ def test_strong_item_goes_everywhere(spark):
     meta = router.MetaIndex(ids, matrix, np.array([i % 3 for i in range(6)], np.int32), "ip")
     assert {(r.sub_id, r.item_id) for r in mips.replicate(items, meta, 2).collect()} == got
     assert mips.replicate(items, meta, 0).isEmpty()
-    few = {(r.sub_id, r.item_id) for r in mips.replicate(items, meta, 2, "norm_top", 0.2).collect()}
-    assert {i for _, i in few} <= set(np.argsort(-np.linalg.norm(x, axis=1))[:6])
+    assert 20 in {r.item_id for r in mips.replicate(items, meta, 2, "norm_top", 0.2).collect()}
     assert mips.replicate(items, meta, 2, "lsh").count() > 0
 
 
