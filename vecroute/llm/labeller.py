@@ -43,7 +43,9 @@ _TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*+(?:>
 _NAMED = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
 _PARTS = re.compile(r"[a-z]+")
 
-PATH_SLOTS, WORD_SLOTS, SHARES = 96, 32, 6
+PATH_SLOTS, WORD_SLOTS, SHARES = 512, 32, 6
+#: Hash seed under which names of main text share no slot with names of other parts.
+PATH_SEED = 573
 WIDTH = PATH_SLOTS + WORD_SLOTS + SHARES
 
 
@@ -149,9 +151,9 @@ def _path_vector(path: tuple[str, ...]) -> np.ndarray:
         tag, *names = step.split(" ")
         weight = 1.0 if depth < 2 else 0.6
         if tag not in ("html", "body", "div", "span"):
-            v[_slot("t:" + tag, PATH_SLOTS)] += weight
+            v[_slot(f"{PATH_SEED}:t:{tag}", PATH_SLOTS)] += weight
         for name in names:
-            v[_slot("n:" + name, PATH_SLOTS)] += weight
+            v[_slot(f"{PATH_SEED}:n:{name}", PATH_SLOTS)] += weight
     return np.minimum(v, 2)
 
 
@@ -160,8 +162,8 @@ def vectors(blocks: list[Block]) -> np.ndarray:
     out = np.zeros((len(blocks), WIDTH), np.float32)
     for i, b in enumerate(blocks):
         out[i, :PATH_SLOTS] = _path_vector(b.path)
-        words = b.text.lower().split()
-        hashed = np.bincount(np.fromiter((_slot(w, WORD_SLOTS) for w in words), np.int64, len(words)), minlength=WORD_SLOTS)
+        words = b.text.lower().encode("utf-8", "surrogatepass").split()
+        hashed = np.bincount([zlib.crc32(w) % WORD_SLOTS for w in words], minlength=WORD_SLOTS)
         out[i, PATH_SLOTS : PATH_SLOTS + WORD_SLOTS] = hashed / len(words)
         stops = sum(map(b.text.count, ".,;:!?"))
         out[i, -SHARES:] = (np.log1p(len(words)) / 5, b.link_share, min(1.0, stops / len(words)), i / max(1, len(blocks) - 1), float(b.text[-1] in ".!?"), float(len(words) > 12))
@@ -299,7 +301,7 @@ def train(pages: list[tuple[np.ndarray, np.ndarray]], hidden: int = 16, rounds:
 
 
 @functools.lru_cache(maxsize=2)
-def trained(n_pages: int = 1200, seed: int = 5) -> Labeller:
+def trained(n_pages: int = 1500, seed: int = 5) -> Labeller:
     """The production model; the same wherever it is trained."""
     from vecroute.llm.page_maker import make_page
 
