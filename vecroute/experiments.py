@@ -90,7 +90,7 @@ for _name in SETS:
 
 @query("w_throughput_latency")
 def _throughput(spark: SparkSession, d: str) -> DataFrame:
-    """Queries a second of a batch, and kernel time per query and part at the 90th percentile; of this machine only."""
+    """Queries a second of a batch, kernel time per query at the 90th percentile, and search time in the routing graph; of this machine only."""
     items, queries, _ = prepared(spark, d, "line5", "l2")
     index = builder.build(items, params("l2", 100))
     n, rows = queries.count(), []
@@ -107,8 +107,10 @@ def _throughput(spark: SparkSession, d: str) -> DataFrame:
             for s in subs:
                 hnsw.search(graphs[s], row[None, :], K, 100)
             lat.append(time.perf_counter() - at)
-        rows.append((branching, measures.throughput(n, seconds), float(np.quantile(lat, 0.9))))
-    return spark.createDataFrame(rows, "branching int, queries_per_s double, kernel_p90_s double")
+        clock = time.perf_counter()
+        index.meta.rank(q, branching, "graph")
+        rows.append((branching, measures.throughput(n, seconds), float(np.quantile(lat, 0.9)), (time.perf_counter() - clock) / len(q) * 1000))
+    return spark.createDataFrame(rows, "branching int, queries_per_s double, kernel_p90_s double, meta_search_ms double")
 
 
 def _work(partials: DataFrame, n: int) -> float:
@@ -339,6 +341,18 @@ def _layers(spark: SparkSession, d: str) -> DataFrame:
     return builder.describe(builder.build(datasets.items(spark, d, "emb"), params("l2", 50)))
 
 
+@query("w_page_neighbours")
+def _pages(spark: SparkSession, d: str) -> DataFrame:
+    """Pages nearest to pages by the hashed words of their markup-free text, under cosine."""
+    ship(spark)
+    ws = Workspace(spark, "pages")
+    plain = F.regexp_replace(F.regexp_replace("html", "(?s)<(script|style)[^>]*>.*?</\\1>", " "), "<[^>]*>", " ")
+    table(spark, d, "pages").select(F.col("page_id").alias("doc_id"), plain.alias("text")).write.parquet(f"{ws.base}/p/documents.parquet")
+    items = ws.keep(datasets.items(spark, f"{ws.base}/p", "hashtext"), "items")
+    q = items.where("item_id % 5 = 0").select(F.col("item_id").alias("query_id"), "vec")
+    return builder.ask(builder.build(items, params("cosine", 20)), q, 5, 3, mode="exact")
+
+
 @query("w_conversation_retrieval")
 def _retrieval(spark: SparkSession, d: str) -> DataFrame:
     """Documents nearest to conversation turns of users, by hashed words under cosine."""

@@ -174,6 +174,14 @@ def _percentiles(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "events").groupBy("event_type").agg(*[F.round(F.percentile("value", p), 6).alias(f"p{int(p * 100)}") for p in (0.5, 0.9, 0.99)])
 
 
+@query("agg_percentile_sketch", "SELECT event_type, true AS within FROM events GROUP BY 1")
+def _percentile_sketch(spark: SparkSession, d: str) -> DataFrame:
+    """A mergeable quantile sketch and the approximate percentile lie near the exact one."""
+    e = table(spark, d, "events").groupBy("event_type").agg(F.percentile("value", 0.9).alias("a"), F.percentile_approx("value", 0.9, 10_000).alias("b"), F.kll_sketch_agg_double("value").alias("k"))
+    c = F.kll_sketch_get_quantile_double("k", F.lit(0.9))
+    return e.select("event_type", ((F.abs(F.col("b") / F.col("a") - 1) < 0.1) & (F.abs(c / F.col("a") - 1) < 0.1)).alias("within"))
+
+
 for _form in ("rollup", "cube"):
 
     @query(f"agg_{_form}", f"SELECT c_mktsegment AS segment, c_nationkey AS nation, CAST(grouping(c_mktsegment, c_nationkey) AS BIGINT) AS level, count(*) AS n FROM customer GROUP BY {_form.upper()} (c_mktsegment, c_nationkey)")
