@@ -30,6 +30,8 @@ SEED = 9
 BLOCK_ROWS = 4
 PERIOD = 256
 TEMPERATURE = 0.5
+#: A period has at most eight slots a source; it is broadcast up to so many sources, joined by exchange beyond.
+BROADCAST_SOURCES = 1 << 16
 
 
 def weights(counts: DataFrame, targets: dict[str, float] | None, temperature: float, period: int) -> DataFrame:
@@ -74,17 +76,17 @@ def schedule(weighted: DataFrame) -> DataFrame:
     return turns.select("slot", F.expr("s[p.at]").alias("w"), F.col("p.turn").alias("turn")).select("w.stratum", "w.rows", "w.slots", "w.period", "turn", F.col("slot").cast("long").alias("slot"))
 
 
-def _scheduled(keyed: DataFrame, total: int, ties: list[Column], targets: dict[str, float] | None, temperature: float, block_rows: int, period: int) -> tuple[DataFrame, DataFrame]:
+def _scheduled(keyed: DataFrame, ties: list[Column], targets: dict[str, float] | None, temperature: float, block_rows: int, period: int) -> tuple[DataFrame, DataFrame]:
+    total, sources = keyed.agg(F.count(F.lit(1)), F.count_distinct("stratum")).first()
     bits = bucket_bits(total)
     counts = bucket_counts(keyed, bits)
     weighted = weights(counts, targets, temperature, period)
-    ranked = rank_in_stratum(keyed, counts, bits, ties).drop("stratum_rows")
-    slots = weighted.select("stratum", "slots", "period")
-    numbered = ranked.join(F.broadcast(slots), "stratum").withColumn("block", F.expr(f"stratum_rank div {block_rows}"))
+    ranked = rank_in_stratum(keyed, counts, bits, ties, weighted.select("stratum", "slots", "period")).drop("stratum_rows")
+    numbered = ranked.withColumn("block", F.expr(f"stratum_rank div {block_rows}"))
     numbered = numbered.withColumns({"lap": F.expr("block div slots"), "turn": F.expr("block % slots")})
-    # One row per slot of a period: bounded by the period, which four slots a source bound.
+    # A row per slot of a period; joined by exchange, a hot source's rows spread over its turns.
     turns = schedule(weighted).select("stratum", "turn", F.col("slot").alias("lap_slot"))
-    out = numbered.join(F.broadcast(turns), ["stratum", "turn"])
+    out = numbered.join(F.broadcast(turns) if sources <= BROADCAST_SOURCES else turns, ["stratum", "turn"])
     out = out.withColumns({"slot": F.col("lap") * F.col("period") + F.col("lap_slot"), "release": F.expr("(block * period) div slots"), "deadline": F.expr("((block + 1) * period + slots - 1) div slots"), "in_block": F.expr(f"stratum_rank % {block_rows}")})
     return out, weighted
 
@@ -92,7 +94,7 @@ def _scheduled(keyed: DataFrame, total: int, ties: list[Column], targets: dict[s
 def mix(docs: DataFrame, targets: dict[str, float] | None = None, temperature: float = TEMPERATURE, block_rows: int = BLOCK_ROWS, period: int = PERIOD, seed: int = SEED) -> DataFrame:
     """``doc_id, source, block, release, deadline, slot, in_block, position`` of every row."""
     keyed = docs.select("doc_id", "source", stratum_key(F.col("source")).alias("stratum"), seeded_key(seed, F.col("doc_id")).alias("shuffle_key"))
-    out, weighted = _scheduled(keyed, docs.count(), [F.col("doc_id")], targets, temperature, block_rows, period)
+    out, weighted = _scheduled(keyed, [F.col("doc_id")], targets, temperature, block_rows, period)
     inside = Window.partitionBy("lap").orderBy("slot", "in_block")
     # Rows of all sources in earlier laps: a whole-number function of their sizes.
     sizes = weighted.groupBy().agg(F.collect_list(F.struct("rows", "slots")).alias("sizes"))
@@ -107,5 +109,5 @@ def mixed_order(docs: DataFrame, targets: dict[str, float] | None = None, temper
     names = docs.columns
     packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"))
     keyed = packed.select("row", stratum_key(F.col("row.source")).alias("stratum"), seeded_key(seed, F.col("row.doc_id")).alias("shuffle_key"))
-    out, _ = _scheduled(keyed, docs.count(), [F.xxhash64("row.text")], targets, temperature, block_rows, period)
+    out, _ = _scheduled(keyed, [F.xxhash64("row.text")], targets, temperature, block_rows, period)
     return out.select("row", "slot", "in_block").repartitionByRange(F.col("slot"), F.col("in_block")).sortWithinPartitions("slot", "in_block").select("row.*")

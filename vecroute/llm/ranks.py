@@ -36,14 +36,18 @@ def bucket_counts(df: DataFrame, bits: int) -> DataFrame:
     return df.groupBy("stratum", F.shiftright("shuffle_key", KEY_BITS - bits).alias("bucket")).agg(F.count(F.lit(1)).alias("n"))
 
 
-def rank_in_stratum(df: DataFrame, counts: DataFrame, bits: int, ties: list[Column]) -> DataFrame:
+def rank_in_stratum(df: DataFrame, counts: DataFrame, bits: int, ties: list[Column], facts: DataFrame | None = None) -> DataFrame:
     """Adds ``stratum_rank`` (from 0, by shuffle key) and ``stratum_rows``.
 
     ``df`` has ``stratum`` and ``shuffle_key``; ``counts`` is what
-    ``bucket_counts`` gives for the same rows and bits. ``ties`` orders rows of equal key.
+    ``bucket_counts`` gives for the same rows and bits. ``ties`` orders rows of equal key. ``facts``
+    has a row per stratum, whose columns ride along with the offsets, so that rows
+    meet them without a join by stratum.
     """
     by_stratum = Window.partitionBy("stratum")
     offsets = counts.select("stratum", "bucket", (F.sum("n").over(by_stratum.orderBy("bucket")) - F.col("n")).alias("bucket_start"), F.sum("n").over(by_stratum).alias("stratum_rows"))
+    if facts is not None:
+        offsets = offsets.join(facts, "stratum")
     inside = Window.partitionBy("stratum", "bucket").orderBy("shuffle_key", *ties)
     numbered = df.withColumn("bucket", F.shiftright("shuffle_key", KEY_BITS - bits)).withColumn("in_bucket", F.row_number().over(inside))
     joined = numbered.join(offsets, ["stratum", "bucket"])
