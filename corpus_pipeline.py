@@ -20,9 +20,13 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops what the boosted trees score below the threshold."""
+    """Drops what the boosted trees score below the threshold.
+
+    They learn from labelled documents of the whole table, since the rows that the
+    rules keep may all have one label; only the incoming rows are scored.
+    """
     ship(spark)
-    model = boosting.train(docs, table(spark, sf_dir, "labels"))
+    model = boosting.train(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
     return docs.where(boosting.score(F.col("text"), model) >= boosting.THRESHOLD)
 
 

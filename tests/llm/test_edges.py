@@ -107,6 +107,20 @@ def test_stages_on_odd_rows(spark, odd, sf):
     assert corpus_pipeline.STAGES[-1][1](spark, odd.where("false"), sf).count() == 0
 
 
+def test_classifier_stage_learns_both_labels(spark, sf01, monkeypatch):
+    docs, labels = table(spark, sf01, "documents"), table(spark, sf01, "labels")
+    clean = corpus_pipeline.quality_rules(spark, docs, sf01)
+    held = docs.join(labels.where("quality = 0").select("doc_id"), "doc_id", "left_semi").where(boosting.held_out(F.col("doc_id")))
+    planted = held.withColumn("doc_id", -1 - F.col("doc_id")).select(docs.columns)
+    n = planted.count()
+    models, train = [], boosting.train
+    monkeypatch.setattr(boosting, "train", lambda *a: models.append(train(*a)) or models[-1])
+    out = corpus_pipeline.quality_classifier(spark, clean.unionByName(planted), sf01)
+    assert n > 5 and out.where("doc_id < 0").count() <= n / 4  # before: all of them were left
+    assert out.where("doc_id >= 0").count() == clean.count()
+    assert models[0].roots.size > 1 and -5 < models[0].base < 5
+
+
 def test_pipeline_against_brute_force(spark, sf):
     docs = table(spark, sf, "documents")
     pieces = corpus_pipeline.run(spark, sf).toPandas()
