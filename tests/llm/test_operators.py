@@ -65,6 +65,27 @@ def test_op1_whole_table(spark, sf):
     assert not labels[labels.quality == 0].kept.any()
 
 
+#: Ordinary prose, written for this test: a story and an official notice in each listed language.
+PROSE = [
+    ('en', 'The morning train was late again, so we stood on the platform and talked about the weather, the price of bread and the new bridge that the council had promised for years. An old man with a brown dog told us that he remembered the first bridge, which had been washed away by a flood when he was a boy. Nobody quite believed him, but it was a good story, and it made the waiting easier. When the train finally came, we found seats near the window and watched the fields go by until the city appeared behind the hills.'),
+    ('fr', "Ce matin, le train était encore en retard, alors nous avons attendu sur le quai en parlant du temps, du prix du pain et du nouveau pont que la mairie promet depuis des années. Un vieil homme avec un chien brun nous a raconté qu'il se souvenait du premier pont, emporté par une crue quand il était enfant. Personne ne le croyait vraiment, mais c'était une belle histoire, et l'attente nous a paru moins longue. Quand le train est enfin arrivé, nous avons trouvé des places près de la fenêtre."),
+    ('de', 'Heute Morgen hatte der Zug wieder Verspätung, also standen wir auf dem Bahnsteig und sprachen über das Wetter, den Brotpreis und die neue Brücke, die der Gemeinderat seit Jahren verspricht. Ein alter Mann mit einem braunen Hund erzählte uns, dass er sich noch an die erste Brücke erinnern könne, die ein Hochwasser fortgerissen habe, als er ein kleiner Junge war. Niemand glaubte ihm so recht, aber es war eine gute Geschichte, und das Warten fiel uns leichter. Als der Zug endlich kam, fanden wir Plätze am Fenster.'),
+    ('es', 'Esta mañana el tren llegó tarde otra vez, así que esperamos en el andén hablando del tiempo, del precio del pan y del puente nuevo que el ayuntamiento promete desde hace años. Un hombre mayor con un perro marrón nos contó que todavía recordaba el primer puente, que una inundación se llevó cuando él era niño. Nadie le creyó del todo, pero era una buena historia y la espera se hizo más corta. Cuando por fin llegó el tren, encontramos asientos junto a la ventana y miramos los campos.'),
+    ('en', 'Applicants must submit the completed form, together with a copy of their passport and two recent photographs, to the regional office no later than the last working day of March. Incomplete applications will be returned without examination. The fee is not refundable; it covers the cost of processing and cannot be waived except in cases of documented hardship. Successful candidates will be informed in writing within six weeks, and the decision may be appealed once.'),
+    ('fr', "Les candidats doivent remettre le formulaire rempli, accompagné d'une copie du passeport et de deux photographies récentes, au bureau régional au plus tard le dernier jour ouvrable de mars. Les dossiers incomplets seront renvoyés sans examen. Les frais ne sont pas remboursables ; ils couvrent le traitement de la demande et ne peuvent être supprimés qu'en cas de difficulté établie. Les personnes retenues seront informées par écrit dans un délai de six semaines."),
+    ('de', 'Bewerberinnen und Bewerber müssen das ausgefüllte Formular zusammen mit einer Kopie des Reisepasses und zwei neueren Lichtbildern spätestens am letzten Werktag im März bei der Bezirksverwaltung einreichen. Unvollständige Unterlagen werden ohne Prüfung zurückgesandt. Die Bearbeitungsgebühr ist nicht erstattungsfähig; sie deckt die Verwaltungskosten und kann nur in nachgewiesenen Härtefällen erlassen werden. Erfolgreiche Personen werden innerhalb von sechs Wochen schriftlich benachrichtigt und können einmal Widerspruch gegen die Entscheidung einlegen.'),
+    ('es', 'Las personas interesadas deben presentar el formulario completo, junto con una copia del pasaporte y dos fotografías recientes, en la oficina regional a más tardar el último día hábil de marzo. Las solicitudes incompletas serán devueltas sin examen. La tasa no es reembolsable; cubre los gastos de tramitación y solo puede suprimirse en casos de dificultad acreditada. Las personas seleccionadas recibirán una notificación por escrito en un plazo de seis semanas.'),
+]
+
+
+@pytest.mark.parametrize("lang, text", PROSE)
+def test_natural_prose_is_kept(lang, text):
+    words_in = text.split(" ")
+    for n in (50, 60, len(words_in)):
+        for known in (lang, None):
+            assert fertility.measure_one(" ".join(words_in[:n]), known)[6]
+
+
 def test_byte_share_is_that_of_the_vocabulary():
     import sentencepiece
 
