@@ -135,6 +135,16 @@ def test_op2_whole_table(spark, sf):
     assert set(packing.packing_measures(pieces_frame(spark, pieces)).toPandas().padding) == {0.0}
 
 
+def test_op2_added_tokens(spark):
+    from tokenizers import Tokenizer
+
+    bpe = Tokenizer.from_file(fertility.vocabulary_path("byte_bpe_50k.json"))
+    texts = ["a <|endoftext|> b", "<|endoftext|>", "one  <|endoftext|>\n two<|endoftext|><|endoftext|>x", "<|endoftext| >", "plain"]
+    ids = {i: np.array([*bpe.encode(t, add_special_tokens=False).ids, 1]) for i, t in enumerate(texts)}
+    assert 50256 in ids[0]
+    check_pieces(packing.pack(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)).toPandas(), ids)
+
+
 def pieces_frame(spark, pieces):
     return spark.createDataFrame(pieces[["sequence_id", "tier", "step_group", "sequence_tokens", "length"]])
 

@@ -51,14 +51,14 @@ def vocabulary_path(name: str) -> str:
 
 
 @functools.lru_cache(maxsize=4)
-def rank_encoding(path: str):
-    """A byte-level vocabulary from its rank file."""
+def rank_encoding(path: str, added: tuple[tuple[str, int], ...] = ()):
+    """A byte-level vocabulary from its rank file, and tokens added to it."""
     import public_tokenizers
     import tiktoken
 
     with open(path, "rb") as f:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-    return tiktoken.Encoding(path, pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    return tiktoken.Encoding(path, pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=dict(added))
 
 
 @functools.lru_cache(maxsize=2)

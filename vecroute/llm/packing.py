@@ -14,13 +14,15 @@ packed into ever smaller powers of two, so no sequence is padded.
 
 Defined cases: null text counts as empty and gives the end token alone; rows with
 equal ids are packed as separate documents; an empty table gives no rows; extra
-columns are ignored. Tokens are the rank vocabulary's ordinary encoding, equal to
-that of the ``tokenizers`` file of the same vocabulary with special strings read
-as text.
+columns are ignored. Tokens are those of the ``tokenizers`` file of the vocabulary:
+the rank vocabulary's encoding, with the file's added tokens found in the text as
+their own ids.
 """
 
 from __future__ import annotations
 
+import functools
+import json
 from collections.abc import Iterator
 
 import numpy as np
@@ -119,10 +121,17 @@ def step_groups(windows: list[tuple[int, list]], step_tokens: int) -> list[int]:
     return groups
 
 
+@functools.lru_cache(maxsize=4)
+def added_tokens(path: str) -> tuple[tuple[str, int], ...]:
+    """Added tokens of the ``tokenizers`` file beside a rank file."""
+    with open(path.removesuffix(".tiktoken") + ".json", encoding="utf-8") as f:
+        return tuple((t["content"], t["id"]) for t in json.load(f)["added_tokens"])
+
+
 def _encode(texts: list[str | None], path: str) -> Iterator[np.ndarray]:
-    encoding = rank_encoding(path)
+    encoding = rank_encoding(path, added_tokens(path))
     for text in texts:
-        yield np.append(np.asarray(encoding.encode_to_numpy(text or "")), END_ID).astype("<u4")
+        yield np.append(np.asarray(encoding.encode_to_numpy(text or "", allowed_special="all")), END_ID).astype("<u4")
 
 
 class _Packer:
