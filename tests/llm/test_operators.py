@@ -268,6 +268,20 @@ def test_licence_texts(spark):
     assert got[8].unmatched == "AllRights" and got[1].unmatched == ""
 
 
+def test_every_sentence_is_found(spark):
+    rows, want = [], []
+    for name, texts in licences.SENTENCES.items():
+        for one in texts:
+            spaces = [i for i, c in enumerate(one) if c == " "]
+            cuts = [one[:i] + "\n" + one[i + 1 :] for i in spaces if one[i - 2 : i] != "1."]
+            above = "All rights reserved\n"
+            for form in (one, one + ".\n", "Words\n" + one + "\nmore words", above + one, *cuts, *(above + "# " + c.replace("\n", "\n# ") + "\nx = 1" for c in cuts)):
+                rows.append((len(rows), form))
+                want.append(["AllRights"] * form.startswith(above) + [name])
+    got = {r.doc_id: r.sentence_ids for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert [(rows[i][1], got[i]) for i in got if got[i] != ",".join(want[i])] == []
+
+
 def test_licence_plan_is_native(spark, sf):
     plan = QUERIES["op6_licence_sentences"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow|Exchange", plan)

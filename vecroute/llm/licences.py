@@ -1,9 +1,9 @@
 """Licence scan by sentence rules, in DataFrame functions alone.
 
 A text is cut into sentences, which may run over lines and may follow a line without
-an end mark: the lines of a sentence are looked up, then its endings from each line
-on. Each is normalised (lower case, anything but letters,
-digits and ``.+-`` to one space), and known licence sentences become identifiers. The
+an end mark: every range of its lines is looked up, from each line on the longest
+first, and the next line after a hit. Each is normalised (lower case, anything but
+letters, digits and ``.+-`` to one space), and known licence sentences become identifiers. The
 identifiers of a document, in order, are matched against ordered licence rules: the
 first rules are the most specific; what a rule matches is taken out before the next
 looks. Sentences of no identifier do not break a sequence.
@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 
 #: Where a sentence ends: closing marks before white space, a colon at the end of a line, or an empty line.
 BOUNDARY = r"[.!?;]+[\"')\]]*[ \t\r\n\f]+|:[ \t]*\r?\n|\n[ \t]*\n"
+#: The same, but not after the "v." of a version.
+CUT = rf"(?!(?<=\bv)\.[ \t\r\n\f]+[^a-z0-9]*[0-9])(?:{BOUNDARY})"
 #: A licence sentence holds one of these, in lower case.
 WORDS = r"licen[cs]e|copyright|warrant|redistribut|permission|permitted|public domain|liable|free software|reproduce the above|neither the name|general public|all rights|encumbered|hope that"
 
@@ -99,9 +101,15 @@ def normalised(sentence: str) -> str:
     return re.sub(r"^[ .+-]+|[ .+-]+$", "", s)
 
 
+#: The same words, also where a line ends between two of them, and "released under", which some sentences have alone.
+WRAPPED_WORDS = f"{WORDS}|released under".replace(" ", "[^a-z0-9]+")
 KNOWN: dict[str, str] = {normalised(text): name for name, texts in SENTENCES.items() for text in texts}
 
 
+#: A known sentence over one or more whole lines; longer ones first.
+RANGES = "(?m)^(" + "|".join(re.escape(k).replace(r"\-", "-").replace(r"\ ", "[ \n]") for k in sorted(KNOWN, key=lambda k: (-len(k), k))) + ")$"
+
+
 def rule_pattern(parts: tuple[str, ...]) -> str:
     """A rule over ``|A|B|...|``; each identifier owns the bar after it."""
     return r"\|" + "".join(f"({re.escape(p[:-1])}\\|)?" if p.endswith("?") else f"{re.escape(p)}\\|" for p in parts)
@@ -113,18 +121,16 @@ PATTERNS = [(name, rule_pattern(parts).replace("\\-", "-")) for name, parts in R
 def sentence_ids(text: Column) -> Column:
     """Identifiers of the licence sentences of a text, in order."""
     known = F.create_map(*[F.lit(x) for pair in KNOWN.items() for x in pair])
-    sentences = F.filter(F.split(F.lower(text), BOUNDARY), lambda s: s.rlike(WORDS))
-    known_id = lambda s: F.element_at(known, F.regexp_replace(F.regexp_replace(s, "[^a-z0-9.+-]+", " "), "^[ .+-]+|[ .+-]+$", ""))
-    present = lambda ids: F.filter(ids, lambda x: x.isNotNull())
+    sentences = F.filter(F.split(F.lower(text), CUT), lambda s: s.rlike(WRAPPED_WORDS))
 
     def ids_of(sentence: Column) -> Column:
-        lines = F.split(sentence, "\n")
-        single = present(F.transform(lines, known_id))
-        wrapped = present(F.transform(F.sequence(F.lit(1), F.size(lines)), lambda i: known_id(F.array_join(F.slice(lines, i, F.size(lines)), "\n"))))
-        return F.when(F.size(single) > 0, single).otherwise(F.slice(wrapped, 1, 1))
+        plain = F.regexp_replace(sentence, "[^a-z0-9.+\n-]+", " ")
+        version = F.regexp_replace(plain, r"\bv\.[ ]*\n[ \n.+-]*(?=[0-9])", "v. ")
+        lines = F.regexp_replace(F.regexp_replace(version, r"[ .+-]*\n[ \n.+-]*", "\n"), r"^[ \n.+-]+|[ \n.+-]+$", "")
+        return F.transform(F.regexp_extract_all(lines, F.lit(RANGES), F.lit(1)), lambda k: F.element_at(known, F.replace(k, F.lit("\n"), F.lit(" "))))
 
     found = F.flatten(F.transform(sentences, ids_of))
-    return F.when(F.lower(text).rlike(WORDS), found).otherwise(F.array().cast("array<string>"))
+    return F.when(F.lower(text).rlike(WRAPPED_WORDS), found).otherwise(F.array().cast("array<string>"))
 
 
 def match_rules(ids: Column) -> Column:
