@@ -9,6 +9,7 @@ from vecroute.baselines import kdtree, lsh, quantised, random_split
 from vecroute.functions import measures, vectors
 from vecroute.graphs import walk_df
 from vecroute.plans import builder, centers, cutgraph, mips, router, sampling, search
+from vecroute.runtime import table
 from vecroute.serving import planner, tuning
 from vecroute.sources import datasets, files
 
@@ -278,3 +279,12 @@ def test_unindexable_params():
     for bad in ({"metric": "hamming"}, {"m": 3, "w": 5}):
         with pytest.raises(ValueError):
             builder.Params(**bad)
+
+
+def test_size_curve_and_walks_take_all_rows(spark, sf):
+    whole = table(spark, sf, "lineitem").count()
+    curve = experiments._work_by_size(spark, sf).orderBy("n").collect()
+    assert curve[-1].n == whole and all(r.evals < r.n * 1.01 for r in curve)
+    assert curve[-1].evals / curve[0].evals < 0.5 * curve[-1].n / curve[0].n
+    walks = {r.graph: r for r in experiments._walks(spark, sf).collect()}
+    assert set(walks) == {"flat", "layered", "flat, beam", "layered, beam"} and walks["layered"].evals < walks["flat"].evals

@@ -10,6 +10,7 @@ from __future__ import annotations
 import time
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,6 +28,8 @@ KS = (1, 5, 10, 20, 50)
 #: Queries per vector set: every so many ids.
 STEP = {"emb": 7, "emb_scaled": 7, "line5": 61, "hashtext": 11, "letters": 11}
 SETS = {"emb": "l2", "line5": "l2"}
+#: Rows of a part: where two kinds of graph are walked, and on the curve by size.
+WALK_ROWS, SIZE_ROWS = 4000, 16_000
 
 
 def prepared(spark: SparkSession, d: str, name: str, metric: str) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -269,31 +272,40 @@ def _compressed(spark: SparkSession, d: str) -> DataFrame:
 
 @query("w_flat_and_layered_walks")
 def _walks(spark: SparkSession, d: str) -> DataFrame:
-    """Hops and evaluations of a far start: single-layer graph against layers."""
-    rows = datasets.items(spark, d, "line5").where("item_id % 20 = 0").orderBy("item_id").limit(4000).collect()  # a bounded set for two kernels
-    ids, x = np.array([r.item_id for r in rows]), np.array([r.vec for r in rows])
-    q = x[::40]
-    far = int(((x - x.mean(axis=0)) ** 2).sum(axis=1).argmax())
-    flat, layered = knn_graph.build(ids, x, 16), hnsw.build_bulk(ids, x)
-    out = []
-    for label, run in (("flat", lambda: knn_graph.search(flat, q, 1, 1, far)), ("layered", lambda: hnsw.search(layered, q, 1, 1)), ("flat, beam", lambda: knn_graph.search(flat, q, K, 50, far)), ("layered, beam", lambda: hnsw.search(layered, q, K, 50))):
-        _, _, s = run()
-        out.append((label, float(s.hops.mean()), float(s.evals.mean())))
-    return spark.createDataFrame(out, "graph string, hops double, evals double")
+    """Hops and evaluations of a far start, per part over the whole set: single-layer graph against layers."""
+    ship(spark)
+    items = Workspace(spark, "walks").keep(datasets.items(spark, d, "line5"), "items")
+    parts = router.random_parts(items, max(1, -(-items.count() // WALK_ROWS)))
+
+    def run(part: pa.Table) -> pa.Table:
+        part = part.sort_by("item_id")
+        ids = part.column("item_id").to_numpy()
+        x = np.array(part.column("vec").to_pylist())
+        q = x[ids % 20 == 0]
+        if not len(q):
+            return pa.table({c: pa.array([], t) for c, t in zip(("graph", "hops", "evals", "n"), (pa.string(), pa.float64(), pa.float64(), pa.int64()), strict=True)})
+        far = int(((x - x.mean(axis=0)) ** 2).sum(axis=1).argmax())
+        flat, layered = knn_graph.build(ids, x, 16), hnsw.build_bulk(ids, x)
+        walks = [("flat", knn_graph.search(flat, q, 1, 1, far)), ("layered", hnsw.search(layered, q, 1, 1)), ("flat, beam", knn_graph.search(flat, q, K, 50, far)), ("layered, beam", hnsw.search(layered, q, K, 50))]
+        return pa.table({"graph": [w for w, _ in walks], "hops": [float(r[2].hops.sum()) for _, r in walks], "evals": [float(r[2].evals.sum()) for _, r in walks], "n": [len(q)] * len(walks)})
+
+    sums = parts.groupBy("sub_id").applyInArrow(run, "graph string, hops double, evals double, n long").groupBy("graph")
+    return sums.agg((F.sum("hops") / F.sum("n")).alias("hops"), (F.sum("evals") / F.sum("n")).alias("evals"))
 
 
 @query("w_work_by_size")
 def _work_by_size(spark: SparkSession, d: str) -> DataFrame:
-    """Evaluations per query as the set grows: far below linear."""
-    rows = datasets.items(spark, d, "line5").where("item_id % 3 = 0").orderBy("item_id").limit(16_000).collect()  # a bounded set for one kernel
-    ids, x = np.array([r.item_id for r in rows]), np.array([r.vec for r in rows])
-    out, n = [], 500
-    while n <= len(ids):
-        pick = np.arange(0, len(ids), len(ids) // n)[:n]
-        _, _, s = hnsw.search(hnsw.build_bulk(ids[pick], x[pick]), x[pick[:: max(1, n // 100)]], K, 20)
-        out.append((int(pick.size), float(s.evals.mean())))
-        n *= 2
-    return spark.createDataFrame(out, "n int, evals double")
+    """Evaluations per query, summed over as many parts at every size, as the set doubles up to all rows: far below linear."""
+    items = Workspace(spark, "sizes").keep(datasets.items(spark, d, "line5"), "items")
+    whole, rows = items.count(), []
+    w = max(10, -(-whole // SIZE_ROWS))
+    draw = F.pmod(F.xxhash64(F.lit(11), F.col("item_id")), F.lit(1 << 32))
+    for size in sorted(whole >> k for k in range(64) if whole >> k >= min(whole, 50 * w)):
+        some = items if size == whole else items.where(draw < (size << 32) // whole)
+        queries = some.where("item_id % 20 = 0").select(F.col("item_id").alias("query_id"), "vec")
+        found = random_split.build(some, w, "l2", builder="bulk").partials(queries, K, 20)
+        rows.append((some.count(), w, _work(found, queries.count())))
+    return spark.createDataFrame(rows, "n int, parts int, evals double")
 
 
 @query("w_loss_split")
