@@ -485,6 +485,28 @@ def test_split_shards(spark):
     assert df.select(simhash.fingerprint(F.col("text"))).count() == 150
 
 
+def test_keep_one_goes_by_row(spark, sf):
+    """Repeated ids, null ids and repeated rows, against every pair of rows compared."""
+    docs = table(spark, sf, "documents").limit(120).toPandas()
+    texts = docs.text.tolist()
+    a, b = texts[0], texts[1]
+    rows = [(1, a, "x"), (1, b, "x"), (2, b + " word", "x"), (1, a, "x"), (1, a, "y"), (None, b, "z"), (None, "alone and unlike all others here", "z"), (3, None, "z"), (3, "", "z")]
+    rows += [(10 + i % 50, t, "s") for i, t in enumerate(texts)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(4)
+    fp = np.array([slow_fingerprint(t) for _, t, _ in rows], np.uint64)
+    f = Forest(len(rows))
+    f.link(*np.nonzero(np.bitwise_count(fp[:, None] ^ fp[None]) <= 3))
+    key = lambda r: (r[0] is None, r[0] or 0, "" if r[1] is None else hashlib.md5(r[1].encode()).hexdigest())
+    best = {}
+    for r, root in zip(rows, f.roots(), strict=True):
+        best[root] = min(best.get(root, r), r, key=key)
+    got = [(r.doc_id, r.text) for r in simhash.keep_one(df).collect()]
+    assert sorted(got, key=str) == sorted(((r[0], r[1]) for r in best.values()), key=str)
+    assert (1, a) in got and any(t == b for _, t in got)
+    pair = spark.createDataFrame([(1, a), (1, b), (2, b + " word")], "doc_id long, text string")
+    assert {r.text for r in simhash.keep_one(pair).collect()} == {a, b}
+
+
 def test_components_of_a_long_path(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(0, 200)] + [(500, 501), (501, 501), (502, 500)], "a long, b long")
     got = {r.node: r.component for r in components(edges, Workspace(spark, "test")).collect()}

@@ -12,8 +12,9 @@ Links join into components by star rounds; a document's component is the smalles
 ``doc_id`` it reaches.
 
 Defined cases: null and empty text have no shingles and fingerprint zero, which
-links like any other; equal ids are separate rows with a component each; an empty
-table gives no rows; extra columns are ignored.
+links like any other; rows of equal id have the component of their own text; rows of
+null id take part like others, and a component without ids has a null one; an empty
+table gives no rows; extra columns are ignored, and survive in ``keep_one``.
 """
 
 from __future__ import annotations
@@ -118,8 +119,8 @@ def _shard_links(radius: int):
         n = rows.num_rows
         if n < 2:
             return None
-        values = rows.column("fp").to_numpy().view(np.uint64)
-        ids = rows.column("class_id").to_numpy()
+        ids = rows.column("fp").to_numpy()
+        values = ids.view(np.uint64)
         left, forest = rows.column("is_left").to_numpy(), Forest(n)
         own_block = rows.column("left_block")[0].as_py() == rows.column("right_block")[0].as_py()
         tree_at, query_at = (np.arange(n), np.arange(n)) if own_block else (np.flatnonzero(left), np.flatnonzero(~left))
@@ -133,7 +134,7 @@ def _shard_links(radius: int):
             q, x = tree.within(values[part], radius)
             forest.link(part[q], tree_at[x])
         roots = forest.roots()
-        # Positions carry no order of ids: a tree's smallest id stands for it.
+        # Positions carry no order of fingerprints: a tree's smallest stands for it.
         smallest = np.full(n, np.iinfo(np.int64).max)
         np.minimum.at(smallest, roots, ids)
         low = smallest[roots]
@@ -158,30 +159,48 @@ def bands_for(classes: int, radius: int) -> int:
     return radius + 3
 
 
-def near_duplicates(docs: DataFrame, radius: int = RADIUS, block: int = BLOCK, workspace: Workspace | None = None) -> DataFrame:
-    """``doc_id, fp, component_id`` of every row; ``fp`` has the fingerprint's bits as a long."""
-    workspace = workspace or Workspace(docs.sparkSession, "simhash")
-    prints = workspace.keep(docs.select("doc_id", fingerprint(F.col("text")).alias("fp")), "prints")
-    classes = workspace.keep(prints.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("class_id")), "classes")
+def _grouped(docs: DataFrame, facts: list[Column], radius: int, block: int, workspace: Workspace) -> tuple[DataFrame, DataFrame]:
+    """Every row's ``doc_id``, ``fp`` and ``facts``; and of every fingerprint the component.
+
+    A component is a set of fingerprints, named by its smallest one (``root``), so that
+    rows of equal id whose texts differ stay apart.
+    """
+    prints = workspace.keep(docs.select("doc_id", fingerprint(F.col("text")).alias("fp"), *facts), "prints")
+    classes = workspace.keep(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "classes")
     masks = band_masks(bands_for(classes.count(), radius), radius)
-    banded = classes.select("fp", "class_id", F.posexplode(F.array(*[F.lit(m - (1 << 64) if m >> 63 else m).bitwiseAND(F.col("fp")) for m in masks])).alias("band", "shard"))
-    paired = block_pairs(banded, ["band", "shard"], "class_id", workspace, block)
+    banded = classes.select("fp", F.posexplode(F.array(*[F.lit(m - (1 << 64) if m >> 63 else m).bitwiseAND(F.col("fp")) for m in masks])).alias("band", "shard"))
+    paired = block_pairs(banded, ["band", "shard"], "fp", workspace, block)
     links = workspace.keep(stream_groups(paired, ["band", "shard", "left_block", "right_block"], _shard_links(radius), "a long, b long"), "links")
     groups = components(links, workspace)
-    named = workspace.keep(classes.join(groups, classes["class_id"] == groups["node"], "left").select("fp", F.coalesce("component", "class_id").alias("component_id")), "components")
-    return prints.join(named, "fp", "left").select("doc_id", "fp", "component_id")
+    rooted = workspace.keep(classes.join(groups, classes["fp"] == groups["node"], "left").select("fp", "first_id", F.coalesce("component", "fp").alias("root")), "rooted")
+    return prints, rooted
+
+
+def near_duplicates(docs: DataFrame, radius: int = RADIUS, block: int = BLOCK, workspace: Workspace | None = None) -> DataFrame:
+    """``doc_id, fp, component_id`` of every row; ``fp`` has the fingerprint's bits as a long."""
+    workspace = workspace or Workspace(docs.sparkSession, "simhash")
+    prints, rooted = _grouped(docs, [], radius, block, workspace)
+    smallest = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
+    named = workspace.keep(rooted.join(smallest, "root").select("fp", "component_id"), "components")
+    return prints.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
 def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """The rows and columns of ``docs`` with one row of each component: its smallest ``doc_id``.
+    """The rows and columns of ``docs`` with one row of each component: the smallest by ``doc_id``, then text.
 
-    Rows whose id is null have no place in a component and are kept.
+    Rows count by id and text: rows of equal id whose texts are no near-duplicates
+    all stay. A null id comes after all others, so such a row stays only in a
+    component without ids. Of rows equal in id and text the first by the other columns stays.
     """
     workspace = Workspace(docs.sparkSession, "keep-one")
-    found = near_duplicates(docs, radius, workspace=workspace)
-    heads = workspace.keep(found.where("doc_id = component_id").groupBy("doc_id").agg(F.min("fp").alias("fp")), "heads")
-    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
-    known = docs.select(row.alias("row")).select("row", F.col("row.doc_id").alias("doc_id"))
-    first = Window.partitionBy("doc_id").orderBy(F.length("row.text"), F.xxhash64("row.text"))
-    kept = known.join(heads.select("doc_id"), "doc_id", "left_semi").withColumn("n", F.row_number().over(first)).where("n = 1").select("row.*")
-    return kept.unionByName(docs.where(F.col("doc_id").isNull()))
+    digest = lambda c: F.coalesce(F.md5(c.cast("string").cast("binary")), F.lit(""))
+    id_key = lambda c: F.coalesce(F.concat(F.lit("i"), c.cast("string")), F.lit("n"))
+    prints, rooted = _grouped(docs, [digest(F.col("text")).alias("digest")], radius, BLOCK, workspace)
+    order = F.struct(F.col("doc_id").isNull(), "doc_id", "digest")
+    heads = prints.join(rooted.select("fp", "root"), "fp").groupBy("root").agg(F.min(order).alias("head"))
+    heads = workspace.keep(heads.select(id_key(F.col("head.doc_id")).alias("id_key"), F.col("head.digest").alias("digest")), "heads")
+    plain = [f.name for f in docs.schema.fields if "map<" not in f.dataType.simpleString() and "variant" not in f.dataType.simpleString()]
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    known = packed.withColumns({"id_key": id_key(F.col("row.doc_id")), "digest": digest(F.col("row.text"))})
+    first = Window.partitionBy("id_key", "digest").orderBy(F.xxhash64(*[F.col(f"row.`{c}`") for c in plain]))
+    return known.join(heads, ["id_key", "digest"], "left_semi").withColumn("n", F.row_number().over(first)).where("n = 1").select("row.*")
