@@ -3,9 +3,11 @@
 import hashlib
 import itertools
 import re
+import time
 import zlib
 from collections import Counter
 
+import duckdb
 import numpy as np
 import pandas as pd
 import pytest
@@ -13,7 +15,7 @@ import xxhash
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from tests.twins import assert_twin
+from tests.twins import assert_twin, rows_of
 from vecroute.llm import boosting, collisions, fertility, labeller, licences, mixing, packing, page_maker, sharding, simhash, templates, words
 from vecroute.llm.components import Forest, components
 from vecroute.llm.queries import HOSTILE, ORACLES, QUERIES
@@ -282,6 +284,28 @@ def test_every_sentence_is_found(spark):
     assert [(rows[i][1], got[i]) for i in got if got[i] != ",".join(want[i])] == []
 
 
+def test_licence_twin_on_wrapped_texts(spark, tmp_path):
+    """The twin cuts and looks up as the scan does, also versions, wrapped lines and neighbours."""
+    rows = [None, "", "v. 2.0", "Public License, v.\n\n2.0 copyright"]
+    for texts in licences.SENTENCES.values():
+        one = texts[0]
+        at = one.find(" ", len(one) // 2)
+        rows += [one, f"x v. 2 {one}. More\n{one}", f"All rights reserved\n# {one[:at]}\n# {one[at + 1 :]}\ny"]
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    df.coalesce(1).write.parquet(f"{tmp_path}/documents.parquet")
+    c = duckdb.connect()
+    c.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    assert rows_of(licences.scan(df).toPandas()) == rows_of(c.sql(licences.oracle_sql()).df())
+
+
+@pytest.mark.parametrize("text", ["license\n" + "\n".join(f"row {i} of b{i % 7}" for i in range(60_000)), "redistributions of source code must retain the above\n" * 20_000, "license " + "a 1 b 2 " * 130_000, "license" + " \n " * 300_000])
+def test_long_texts_are_scanned_in_linear_time(spark, text):
+    df = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    clock = time.perf_counter()
+    assert licences.scan(df).first().licences == ""
+    assert time.perf_counter() - clock < 15  # 57 s at 8 000 lines before
+
+
 def test_licence_plan_is_native(spark, sf):
     plan = QUERIES["op6_licence_sentences"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow|Exchange", plan)

@@ -154,20 +154,23 @@ def scan(docs: DataFrame) -> DataFrame:
 
 
 def oracle_sql() -> str:
-    """The same scan for DuckDB."""
+    """The same scan for DuckDB, whose regular expressions take the same lines whole."""
     quote = lambda s: "'" + s.replace("'", "''") + "'"
     known = "MAP {" + ", ".join(f"{quote(k)}: {quote(v)}" for k, v in KNOWN.items()) + "}"
-    norm = lambda x: f"m[regexp_replace(regexp_replace({x}, '[^a-z0-9.+-]+', ' ', 'g'), '^[ .+-]+|[ .+-]+$', '', 'g')]"
+    # RE2 has no look-behind: the dot of a version's "v." is masked while sentences are cut.
+    mask = "chr(57344)"
+    masked = f"regexp_replace(replace(lower(coalesce(text, '')), {mask}, ','), '(^|[^a-z0-9_])v\\.([ \\t\\r\\n\\f]+[^a-z0-9]*[0-9])', '\\1v' || {mask} || '\\2', 'g')"
+    plain = f"regexp_replace(replace(s, {mask}, '.'), '[^a-z0-9.+\\n-]+', ' ', 'g')"
+    version = f"regexp_replace({plain}, '\\bv\\.[ ]*\\n[ \\n.+-]*([0-9])', 'v. \\1', 'g')"
+    lines = f"regexp_replace(regexp_replace({version}, '[ .+-]*\\n[ \\n.+-]*', chr(10), 'g'), '^[ \\n.+-]+|[ \\n.+-]+$', '', 'g')"
     steps, last = [], "s0"
     for k, (name, pattern) in enumerate(PATTERNS, 1):
         hit = f"regexp_matches(seq, {quote(pattern)})"
         steps.append(f"s{k} AS (SELECT doc_id, ids, CASE WHEN {hit} THEN regexp_replace(seq, {quote(pattern)}, '|', 'g') ELSE seq END AS seq, CASE WHEN {hit} AND NOT list_contains(found, {quote(name)}) THEN list_append(found, {quote(name)}) ELSE found END AS found FROM {last})")
         last = f"s{k}"
-    return f"""WITH cut AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(coalesce(text, '')), {quote(BOUNDARY)}), lambda s: regexp_matches(s, {quote(WORDS)})) AS sentences FROM documents),
+    return f"""WITH cut AS (SELECT doc_id, list_filter(regexp_split_to_array({masked}, {quote(BOUNDARY)}), lambda s: regexp_matches(replace(s, {mask}, '.'), {quote(WRAPPED_WORDS)})) AS sentences FROM documents),
 known AS (SELECT {known} AS m),
-named AS (SELECT doc_id, flatten(list_transform(sentences, lambda s: CASE WHEN len(list_filter(list_transform(string_split(s, chr(10)), lambda l: {norm('l')}), lambda x: x IS NOT NULL)) > 0
-  THEN list_filter(list_transform(string_split(s, chr(10)), lambda l: {norm('l')}), lambda x: x IS NOT NULL)
-  ELSE list_filter(list_transform(range(1, len(string_split(s, chr(10))) + 1), lambda i: {norm("array_to_string(string_split(s, chr(10))[i:], chr(10))")}), lambda x: x IS NOT NULL)[1:1] END)) AS ids FROM cut, known),
+named AS (SELECT doc_id, flatten(list_transform(sentences, lambda s: list_transform(regexp_extract_all({lines}, {quote(RANGES)}, 1), lambda k: m[replace(k, chr(10), ' ')]))) AS ids FROM cut, known),
 s0 AS (SELECT doc_id, ids, '|' || array_to_string(ids, '|') || '|' AS seq, CAST([] AS VARCHAR[]) AS found FROM named),
 {', '.join(steps)}
 SELECT doc_id, CAST(len(ids) AS INTEGER) AS n_sentences, coalesce(array_to_string(ids, ','), '') AS sentence_ids, coalesce(array_to_string(found, ','), '') AS licences, coalesce(array_to_string(list_filter(string_split(seq, '|'), lambda x: x <> ''), ','), '') AS unmatched FROM {last}"""
