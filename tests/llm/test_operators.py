@@ -1,5 +1,6 @@
 """The ten operators against brute force, on whole small tables."""
 
+import dataclasses
 import hashlib
 import itertools
 import re
@@ -345,11 +346,67 @@ def test_op7_planted(spark):
     assert (got.kept == (got.vec_id == got.component_id)).all()
 
 
+def brute_links(x, cosine=0.95):
+    """Links and components of unit rows by blocked products."""
+    n, f = np.zeros(len(x), int), Forest(len(x))
+    for at in range(0, len(x), 2000):
+        a, b = np.nonzero(x[at : at + 2000] @ x.T >= cosine)
+        a = a + at
+        f.link(a[a < b], b[a < b])
+        np.add.at(n, a[a != b], 1)
+    return n, pd.Series(range(len(x))).groupby(f.roots()).transform("min").to_numpy()
+
+
+@pytest.mark.parametrize("offset", [0.0, 2.0, 4.0])
+def test_op7_recall_off_centre(spark, offset):
+    """A common offset (mean cosine 0, 0.8, 0.94) costs neither recall nor even pools."""
+    rng = np.random.default_rng(int(offset))
+    n, d = 6000, 32
+    x = rng.standard_normal((n, d)) / d**0.5
+    x[:, 0] += offset
+    copies = x[rng.integers(0, n, 1500)] + rng.standard_normal((1500, d)) * 0.2 * rng.random((1500, 1)) * (1 + offset) / d**0.5
+    x = np.vstack([x, copies]).astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>").repartition(8)
+    got = collisions.near_vectors(df).toPandas().sort_values("vec_id")
+    u = x.astype(float)
+    n_links, component = brute_links(u / np.linalg.norm(u, axis=1, keepdims=True))
+    assert n_links.sum() > 1000 and (got.n_links.to_numpy() <= n_links).all()
+    assert got.n_links.sum() / n_links.sum() >= 0.999
+    if offset < 4:  # there all but a few are one component
+        assert (got.component_id.to_numpy() == component).mean() >= 0.999
+
+
+def test_op7_pools_are_even_off_centre(spark):
+    rng = np.random.default_rng(1)
+    x = rng.standard_normal((20_000, 64)) / 8
+    x[:, 0] += 2
+    df = spark.createDataFrame(pd.DataFrame({"raw": [v.astype("<f4").tobytes() for v in x], "class_id": range(len(x)), "copies": 1}))
+    means = collisions._mean_vectors(df, "<f4")
+    centred = df.selectExpr("*", "octet_length(raw) size").join(means, "size").select("raw", "mean", "class_id", "copies")
+    spread = collisions._spread(centred, "<f4")
+    assert 0.1 < spread < 0.2
+    plan = dataclasses.replace(collisions.calibrate(len(x), spread=spread), cuts=6, tables=12)
+    sizes = centred.mapInArrow(collisions._pools(plan, "<f4", False), "pool_table int, size int, pool long").groupBy("pool_table", "pool").count().toPandas()
+    assert sizes["count"].max() < 4 * len(x) / 2**6 and sizes["count"].min() > len(x) / 2**6 / 4
+
+
+def test_op7_lengths(spark):
+    """Vectors of other lengths are never compared, whatever the lengths are."""
+    rng = np.random.default_rng(2)
+    long, short = rng.standard_normal((40, 1035)), rng.standard_normal((40, 4))
+    rows = [(i, v.tolist()) for i, v in enumerate([*short, *long, *long, *(short * 3)])]
+    got = collisions.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).toPandas().sort_values("vec_id")
+    n, root = slow_links([v for _, v in rows])
+    assert got.n_links.tolist() == n.tolist()
+    assert got.component_id.tolist() == pd.Series(range(len(rows))).groupby(root).transform("min").tolist()
+
+
 def test_calibration():
     for n in (10, 10_000, 10**9):
-        p = collisions.calibrate(n)
-        assert p.expected_recall >= collisions.RECALL - 1e-9
-    assert collisions.calibrate(10**9).cuts > collisions.calibrate(10**5).cuts
+        for spread in (1.0, 0.2, 0.06, 0.0):
+            p = collisions.calibrate(n, spread=spread)
+            assert p.expected_recall >= collisions.RECALL - 1e-9
+    assert collisions.calibrate(10**9).cuts > collisions.calibrate(10**5).cuts > collisions.calibrate(10**5, spread=0.06).cuts
 
 
 def test_counts_are_window_collisions():

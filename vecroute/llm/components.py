@@ -19,18 +19,26 @@ from vecroute.runtime import Workspace
 BLOCK = 2048
 
 
-def block_pairs(rows: DataFrame, group: list[str], member: str, workspace: Workspace, block: int = BLOCK) -> DataFrame:
-    """Rows of groups with two members at least, once for each pair of blocks they take part in.
+def block_pairs(rows: DataFrame, group: list[str], member: str, workspace: Workspace, block: int = BLOCK, keys: DataFrame | None = None) -> DataFrame:
+    """Rows by group, once for each pair of blocks they take part in.
 
     Adds ``left_block`` and ``right_block`` (left <= right) and ``is_left``. A
     group larger than a block is split by a hash of the member, so that its work
     spreads over tasks. Group sizes are counted before anything is exchanged by
     group and written, so that the join can split a group that is hot.
+
+    Without ``keys`` rows of groups of one are left out before the exchange. ``keys``
+    holds the group columns of all rows at less cost; then only the sizes of groups
+    beyond a block are joined to the rows, which for wide rows saves an exchange.
     """
-    sizes = workspace.keep(rows.groupBy(*group).agg(F.count(F.lit(1)).alias("group_rows")).where("group_rows > 1"), "groups")
+    sizes = (rows if keys is None else keys).groupBy(*group).agg(F.count(F.lit(1)).alias("group_rows"))
+    if keys is None:
+        placed = rows.join(workspace.keep(sizes.where("group_rows > 1"), "groups"), group)
+    else:
+        placed = rows.join(workspace.keep(sizes.where(F.col("group_rows") > block), "groups"), group, "left").fillna(1, ["group_rows"])
     blocks = F.ceil(F.col("group_rows") / F.lit(block)).cast("int")
     own = F.pmod(F.xxhash64(F.col(member), F.lit(7)), F.col("blocks")).cast("int")
-    placed = rows.join(sizes, group).withColumn("blocks", blocks).withColumn("own", own).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
+    placed = placed.withColumn("blocks", blocks).withColumn("own", own).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
     return placed.withColumns({"left_block": F.least("own", "other"), "right_block": F.greatest("own", "other"), "is_left": F.col("own") <= F.col("other")}).drop("group_rows", "blocks", "own", "other")
 
 
