@@ -8,11 +8,13 @@ the page.
 
 The network is trained on the driver from generated pages: articles and
 surroundings (menus, headers, footers, sidebars, notices, adverts, forms, reader
-comments) in many markup habits, all from one seed. Nothing is learned from the
-table, so its size plays no part.
+comments) in many markup habits, part of them without telling names, all from one
+seed. Nothing is learned from the table, so its size plays no part.
 
 Defined cases: null and empty html give the empty text; unclosed or stray tags follow
-the usual implied-end rules; a page without main text gives the empty text; equal ids
+the usual implied-end rules; an unclosed script or style hides the rest of the page,
+other raw elements without an end tag are skipped as tags; a page is read once, so
+its cost grows in proportion to its length; a page without main text gives the empty text; equal ids
 and repeated rows are treated row by row; an empty table gives no rows; extra columns
 are ignored.
 """
@@ -33,22 +35,34 @@ from pyspark.sql import functions as F
 
 #: How HTML elements behave.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style template noscript iframe textarea svg object".split())
+RAW = frozenset("script style template noscript iframe textarea svg".split())
+#: Of these the rest of the page is content if no end tag follows; a start tag of the others is then skipped alone.
+RAW_TO_END = frozenset("script style".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd mark q s samp small span strike strong sub sup time tt u var wbr br img".split())
 CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "tbody": {"thead", "tbody", "tr", "td", "th"}}
 #: An implied end tag does not reach beyond these.
 SCOPE = frozenset("table ul ol dl select div article section main aside nav header footer form body html".split())
 
-_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*+(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>|<(/?)([a-zA-Z][^\s/>]*+)([^>]*+)>", re.S)
-_NAMED = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
+#: Elements nested deeper add no step to a path, as in browsers; their text counts.
+DEEPEST = 512
+
+_START = re.compile(r"<(?=[!?a-zA-Z]|/[a-zA-Z])")
+_COMMENT = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*+(?:>|\Z)", re.S)
+_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>")
+#: The same where a quote has no partner.
+_LOOSE_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)([^>]*+)>")
+_NAMED = re.compile(r"""(?<![\w-])(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>"']+))""", re.I)
 _PARTS = re.compile(r"[a-z]+")
 
-PATH_SLOTS, WORD_SLOTS, SHARES = 512, 32, 6
-#: Hash seed under which names of main text share no slot with names of other parts.
-PATH_SEED = 573
+PATH_SLOTS, WORD_SLOTS, SHARES = 512, 128, 8
 WIDTH = PATH_SLOTS + WORD_SLOTS + SHARES
 
 
+@functools.lru_cache(maxsize=32)
+def _end_of(tag: str) -> re.Pattern:
+    return re.compile(rf"</{re.escape(tag)}(?=[\s/>])", re.I)
+
+
 @dataclass
 class Block:
     path: tuple[str, ...]
@@ -90,38 +104,50 @@ def blocks_of(page: str | None) -> list[Block]:
         in_link -= sum(t == "a" for t, _ in stack[k:])
         del stack[k:]
 
-    at = 0
-    search = _TAG.search
+    at, last = 0, page.rfind(">")
+    tags, endless = _TAG, set()
     while True:
-        m = search(page, at)
-        if m is None:
+        start = _START.search(page, at)
+        # After the last closing bracket there is no tag, but a comment may be open.
+        if start is None or (start.start() > last and page[start.start() + 1] not in "!?"):
             add(page[at:])
             break
-        if m.start() > at:
-            add(page[at : m.start()])
-        at = m.end()
-        tag = (m[2] or m[5] or "").lower()
-        if not tag:
+        add(page[at : start.start()])
+        m = _COMMENT.match(page, start.start())
+        if m:
+            at = m.end()
             if m[0].startswith("<![CDATA["):
                 add(m[0][9:].removesuffix("]]>"))
             continue
+        m = tags.match(page, start.start())
+        if m is None:
+            # A quote without a partner: from here on quotes protect nothing, so that no text is read twice.
+            tags = _LOOSE_TAG
+            m = tags.match(page, start.start())
+        at = m.end()
+        tag = m[2].lower()
         if tag == "br":
             add(" ")
             continue
         block_level = tag not in INLINE
         if block_level:
             flush()
-        if m[1] or m[4]:
+        if m[1]:
             for k in range(len(stack) - 1, -1, -1):
                 if stack[k][0] == tag:
                     pop_to(k)
                     break
             continue
-        attributes = m[3] or m[6] or ""
+        attributes = m[3]
         if tag in RAW:
-            if not attributes.rstrip().endswith("/"):
-                end = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at)
-                at = end.end() if end else len(page)
+            if not attributes.rstrip().endswith("/") and tag not in endless:
+                end = _end_of(tag).search(page, at)
+                if end:
+                    at = page.find(">", end.end()) + 1 or len(page)
+                elif tag in RAW_TO_END:
+                    at = len(page)
+                else:
+                    endless.add(tag)
             continue
         if tag in VOID:
             continue
@@ -134,7 +160,10 @@ def blocks_of(page: str | None) -> list[Block]:
                 if stack[k][0] in SCOPE:
                     break
         names = " ".join(p for found in _NAMED.findall(attributes) for p in _PARTS.findall("".join(found).lower())) if attributes else ""
-        stack.append((tag, names))
+        if len(stack) < DEEPEST:
+            stack.append((tag, names))
+        else:
+            continue
         in_link += tag == "a"
     flush()
     return out
@@ -151,9 +180,9 @@ def _path_vector(path: tuple[str, ...]) -> np.ndarray:
         tag, *names = step.split(" ")
         weight = 1.0 if depth < 2 else 0.6
         if tag not in ("html", "body", "div", "span"):
-            v[_slot(f"{PATH_SEED}:t:{tag}", PATH_SLOTS)] += weight
+            v[_slot(f"t:{tag}", PATH_SLOTS)] += weight
         for name in names:
-            v[_slot(f"{PATH_SEED}:n:{name}", PATH_SLOTS)] += weight
+            v[_slot(f"n:{name}", PATH_SLOTS)] += weight
     return np.minimum(v, 2)
 
 
@@ -163,10 +192,11 @@ def vectors(blocks: list[Block]) -> np.ndarray:
     for i, b in enumerate(blocks):
         out[i, :PATH_SLOTS] = _path_vector(b.path)
         words = b.text.lower().encode("utf-8", "surrogatepass").split()
-        hashed = np.bincount([zlib.crc32(w) % WORD_SLOTS for w in words], minlength=WORD_SLOTS)
-        out[i, PATH_SLOTS : PATH_SLOTS + WORD_SLOTS] = hashed / len(words)
-        stops = sum(map(b.text.count, ".,;:!?"))
-        out[i, -SHARES:] = (np.log1p(len(words)) / 5, b.link_share, min(1.0, stops / len(words)), i / max(1, len(blocks) - 1), float(b.text[-1] in ".!?"), float(len(words) > 12))
+        hashed = np.bincount([zlib.crc32(w.strip(b".,;:!?()")) % WORD_SLOTS for w in words], minlength=WORD_SLOTS)
+        out[i, PATH_SLOTS : PATH_SLOTS + WORD_SLOTS] = hashed / np.sqrt((hashed * hashed).sum())
+        stops = sum(map(b.text.count, ".,;:!?。、，！？"))
+        n = len(b.text)
+        out[i, -SHARES:] = (min(1.5, np.log1p(len(words)) / 5), min(1.5, np.log1p(n) / 8), b.link_share, min(1.0, stops / len(words)), min(1.0, 20 * stops / n), i / max(1, len(blocks) - 1), float(b.text[-1] in ".!?。！？"), float(len(words) > 12 or n > 80))
     return out
 
 
@@ -178,18 +208,19 @@ class Lstm:
     """One direction; gates in the order input, forget, output, candidate."""
 
     @staticmethod
-    def init(rng: np.random.Generator, width: int, hidden: int) -> dict[str, np.ndarray]:
-        bias = np.zeros(4 * hidden)
+    def init(rng: np.random.Generator, width: int, hidden: int, kind: type = np.float64) -> dict[str, np.ndarray]:
+        bias = np.zeros(4 * hidden, kind)
         bias[hidden : 2 * hidden] = 1
-        return {"x": rng.standard_normal((width, 4 * hidden)) * (1 / width) ** 0.5, "h": rng.standard_normal((hidden, 4 * hidden)) * (1 / hidden) ** 0.5, "b": bias}
+        return {"x": (rng.standard_normal((width, 4 * hidden)) * (1 / width) ** 0.5).astype(kind), "h": (rng.standard_normal((hidden, 4 * hidden)) * (1 / hidden) ** 0.5).astype(kind), "b": bias}
 
     @staticmethod
     def forward(p: dict[str, np.ndarray], x: np.ndarray, mask: np.ndarray, keep: bool = False):
         """x: steps, pages, width. Masked steps pass the state on."""
         steps, pages, _ = x.shape
         hidden = p["h"].shape[0]
-        h, c = np.zeros((pages, hidden)), np.zeros((pages, hidden))
-        out, saved = np.empty((steps, pages, hidden)), []
+        kind = p["h"].dtype
+        h, c = np.zeros((pages, hidden), kind), np.zeros((pages, hidden), kind)
+        out, saved = np.empty((steps, pages, hidden), kind), []
         fed = x @ p["x"] + p["b"]
         for t in range(steps):
             z = fed[t] + h @ p["h"]
@@ -210,8 +241,9 @@ class Lstm:
     def backward(p: dict[str, np.ndarray], x: np.ndarray, mask: np.ndarray, saved: list, d_out: np.ndarray) -> dict[str, np.ndarray]:
         steps, pages, _ = x.shape
         hidden = p["h"].shape[0]
-        d_fed = np.zeros((steps, pages, 4 * hidden))
-        d_h, d_c, d_hh = np.zeros((pages, hidden)), np.zeros((pages, hidden)), np.zeros_like(p["h"])
+        kind = p["h"].dtype
+        d_fed = np.zeros((steps, pages, 4 * hidden), kind)
+        d_h, d_c, d_hh = np.zeros((pages, hidden), kind), np.zeros((pages, hidden), kind), np.zeros_like(p["h"])
         for t in range(steps - 1, -1, -1):
             h, c, i, f, o, g, tanh_c = saved[t]
             m = mask[t][:, None]
@@ -229,7 +261,7 @@ class Lstm:
 
 def _padded(pages: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     steps = max(p.shape[0] for p in pages)
-    x, mask = np.zeros((steps, len(pages), WIDTH)), np.zeros((steps, len(pages)), bool)
+    x, mask = np.zeros((steps, len(pages), WIDTH), np.float32), np.zeros((steps, len(pages)), bool)
     for k, p in enumerate(pages):
         x[: p.shape[0], k], mask[: p.shape[0], k] = p, True
     return x, mask
@@ -266,10 +298,10 @@ class Labeller:
         return out
 
 
-def train(pages: list[tuple[np.ndarray, np.ndarray]], hidden: int = 16, rounds: int = 6, batch: int = 16, rate: float = 0.01, seed: int = 5) -> Labeller:
-    """Adam on the mean cross-entropy of the blocks."""
+def train(pages: list[tuple[np.ndarray, np.ndarray]], hidden: int = 24, rounds: int = 4, batch: int = 32, rate: float = 0.02, wordless: float = 0.3, seed: int = 5) -> Labeller:
+    """Adam on the mean cross-entropy of the blocks, with a rate that falls to nothing."""
     rng = np.random.default_rng(seed)
-    params = [Lstm.init(rng, WIDTH, hidden), Lstm.init(rng, WIDTH, hidden), {"w": rng.standard_normal(2 * hidden) * 0.1, "b": np.zeros(1)}]
+    params = [Lstm.init(rng, WIDTH, hidden, np.float32), Lstm.init(rng, WIDTH, hidden, np.float32), {"w": (rng.standard_normal(2 * hidden) * 0.1).astype(np.float32), "b": np.zeros(1, np.float32)}]
     first = [{k: np.zeros_like(v) for k, v in p.items()} for p in params]
     second = [{k: np.zeros_like(v) for k, v in p.items()} for p in params]
     step = 0
@@ -279,11 +311,13 @@ def train(pages: list[tuple[np.ndarray, np.ndarray]], hidden: int = 16, rounds:
         for s in starts:
             some = [pages[k] for k in order[s : s + batch]]
             x, mask = _padded([p for p, _ in some])
-            y = np.zeros(mask.shape)
+            # Pages without words, so that tags and order suffice.
+            x[:, rng.random(len(some)) < wordless, PATH_SLOTS : PATH_SLOTS + WORD_SLOTS] = 0
+            y = np.zeros(mask.shape, np.float32)
             for k, (_, labels) in enumerate(some):
                 y[: labels.size, k] = labels
             h, saved_a, saved_b = Labeller._hidden(params, x, mask, keep=True)
-            d = (_sigmoid(h @ params[2]["w"] + params[2]["b"]) - y) * mask / mask.sum()
+            d = (_sigmoid(h @ params[2]["w"] + params[2]["b"]) - y) * mask / np.float32(mask.sum())
             d_h = d[:, :, None] * params[2]["w"]
             n = params[0]["h"].shape[0]
             grads = [
@@ -292,16 +326,17 @@ def train(pages: list[tuple[np.ndarray, np.ndarray]], hidden: int = 16, rounds:
                 {"w": np.einsum("tp,tph->h", d, h), "b": np.array([d.sum()])},
             ]
             step += 1
+            now = rate * (1 - (step - 1) / (rounds * len(starts)))
             for p, g, m1, m2 in zip(params, grads, first, second, strict=True):
                 for k in p:
                     m1[k] = 0.9 * m1[k] + 0.1 * g[k]
                     m2[k] = 0.999 * m2[k] + 0.001 * g[k] ** 2
-                    p[k] -= rate * (m1[k] / (1 - 0.9**step)) / (np.sqrt(m2[k] / (1 - 0.999**step)) + 1e-8)
+                    p[k] -= now * (m1[k] / (1 - 0.9**step)) / (np.sqrt(m2[k] / (1 - 0.999**step)) + 1e-8)
     return Labeller(*params)
 
 
 @functools.lru_cache(maxsize=2)
-def trained(n_pages: int = 1500, seed: int = 5) -> Labeller:
+def trained(n_pages: int = 4000, seed: int = 5) -> Labeller:
     """The production model; the same wherever it is trained."""
     from vecroute.llm.page_maker import make_page
 
@@ -328,7 +363,7 @@ def labelled_blocks(pieces: list[tuple[str, bool]]) -> tuple[list[Block], np.nda
     return clean, np.array(kept)
 
 
-def main_texts(pages: list[str | None], model: Labeller, threshold: float = 0.5) -> list[str]:
+def main_texts(pages: list[str | None], model: Labeller, threshold: float = 0.45) -> list[str]:
     cut = [blocks_of(p) for p in pages]
     scores = model.probabilities([vectors(b) for b in cut])
     return ["\n\n".join(b.text for b, p in zip(blocks, scored, strict=True) if p >= threshold) for blocks, scored in zip(cut, scores, strict=True)]
