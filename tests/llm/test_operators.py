@@ -83,6 +83,36 @@ PROSE = [
 ]
 
 
+#: The same story in other scripts and in languages without a band of their own; words are set apart by spaces, as the base rules count them.
+OTHER_PROSE = [
+    ('ar', 'في الصباح وصل القطار متأخرا مرة أخرى فوقفنا على الرصيف نتحدث عن الطقس وثمن الخبز والجسر الجديد الذي وعدت به البلدية منذ سنوات طويلة. أخبرنا رجل عجوز معه كلب بني أنه ما زال يتذكر الجسر الأول الذي جرفه الفيضان عندما كان طفلا صغيرا. لم يصدقه أحد تماما لكنها كانت قصة جميلة وجعلت الانتظار أسهل علينا. وعندما وصل القطار أخيرا وجدنا مقاعد قرب النافذة ونظرنا إلى الحقول حتى ظهرت المدينة خلف التلال البعيدة.'),
+    ('zh', '今天 早上 火车 又 晚点 了 , 我们 站 在 月台 上 谈论 天气 、 面包 的 价格 和 市政府 多年 来 承诺 修建 的 新 桥 。 一位 带着 棕色 小狗 的 老人 告诉 我们 , 他 还 记得 第一座 桥 , 那座 桥 在 他 小时候 被 洪水 冲走 了 。 没有 人 完全 相信 他 , 但 这 是 一个 好 故事 , 让 等待 变得 轻松 。 火车 终于 来 了 , 我们 在 窗边 找到 座位 , 看着 田野 , 直到 城市 出现 在 山 后面 。'),
+    ('ru', 'Сегодня утром поезд снова опоздал, поэтому мы стояли на платформе и говорили о погоде, о ценах на хлеб и о новом мосте, который город обещает построить уже много лет. Старик с коричневой собакой рассказал нам, что помнит первый мост, который унесло наводнением, когда он был мальчиком. Никто ему особенно не поверил, но история была хорошая, и ждать стало легче. Когда поезд наконец пришёл, мы нашли места у окна и смотрели на поля, пока за холмами не показался город.'),
+    ('ja', '今朝 も 電車 は 遅れ 、 私たち は ホーム に 立って 天気 や パン の 値段 、 そして 町 が 何年 も 前 から 約束 して いる 新しい 橋 に ついて 話し ました 。 茶色 の 犬 を 連れた 老人 が 、 子ども の ころ に 洪水 で 流された 最初 の 橋 を 覚えて いる と 言い ました 。 誰 も 本気 に は しません でした が 、 いい 話 で 、 待つ 時間 が 短く 感じ られ ました 。 やっと 電車 が 来て 、 窓 の そば に 座り ました 。'),
+    ('ko', '오늘 아침에도 기차가 늦어서 우리는 승강장에 서서 날씨와 빵 값, 그리고 시에서 몇 년 동안 약속한 새 다리에 대해 이야기했다. 갈색 개를 데리고 온 한 노인이 자기가 어렸을 때 홍수에 떠내려간 첫 번째 다리를 아직도 기억한다고 말했다. 아무도 그 말을 다 믿지는 않았지만 좋은 이야기였고 기다리는 시간이 한결 짧게 느껴졌다. 마침내 기차가 들어왔고 우리는 창가에 자리를 잡고 앉아 언덕 너머로 도시가 나타날 때까지 들판을 바라보았다. 집에 도착하니 이미 밤이 깊었다.'),
+    ('hi', 'आज सुबह रेलगाड़ी फिर देर से आई, इसलिए हम प्लेटफ़ॉर्म पर खड़े होकर मौसम, रोटी के दाम और उस नए पुल के बारे में बातें करते रहे जिसका वादा नगरपालिका कई सालों से कर रही है। भूरे कुत्ते के साथ आए एक बूढ़े आदमी ने बताया कि उसे पहला पुल अब भी याद है, जो उसके बचपन में बाढ़ में बह गया था। किसी ने उस पर पूरा विश्वास नहीं किया, पर कहानी अच्छी थी और इंतज़ार आसान हो गया।'),
+    ('el', 'Σήμερα το πρωί το τρένο άργησε πάλι, έτσι σταθήκαμε στην αποβάθρα και μιλούσαμε για τον καιρό, την τιμή του ψωμιού και την καινούργια γέφυρα που υπόσχεται ο δήμος εδώ και χρόνια. Ένας γέρος με έναν καφέ σκύλο μάς είπε ότι θυμάται ακόμα την πρώτη γέφυρα, που την παρέσυρε η πλημμύρα όταν ήταν παιδί. Κανείς δεν τον πίστεψε εντελώς, αλλά ήταν ωραία ιστορία και η αναμονή έγινε πιο εύκολη.'),
+    ('it', "Stamattina il treno era di nuovo in ritardo, così abbiamo aspettato sul marciapiede parlando del tempo, del prezzo del pane e del nuovo ponte che il comune promette da anni. Un vecchio con un cane marrone ci ha raccontato che ricordava ancora il primo ponte, portato via da una piena quando era bambino. Nessuno gli ha creduto davvero, ma era una bella storia e l'attesa è sembrata più breve. Quando finalmente il treno è arrivato abbiamo trovato posto vicino al finestrino."),
+    ('pl', 'Dziś rano pociąg znowu się spóźnił, więc staliśmy na peronie i rozmawialiśmy o pogodzie, cenach chleba i nowym moście, który miasto obiecuje od lat. Stary człowiek z brązowym psem opowiedział nam, że pamięta jeszcze pierwszy most, który zabrała powódź, kiedy był chłopcem. Nikt mu do końca nie uwierzył, ale była to dobra historia i czekanie stało się łatwiejsze. Kiedy pociąg wreszcie przyjechał, znaleźliśmy miejsca przy oknie i patrzyliśmy na pola.'),
+    ('vi', 'Sáng nay tàu lại đến muộn nên chúng tôi đứng trên sân ga nói chuyện về thời tiết, giá bánh mì và cây cầu mới mà thành phố đã hứa từ nhiều năm nay. Một ông già dắt con chó nâu kể rằng ông vẫn còn nhớ cây cầu đầu tiên bị lũ cuốn trôi khi ông còn nhỏ. Không ai hoàn toàn tin ông nhưng đó là một câu chuyện hay và việc chờ đợi trở nên dễ dàng hơn.'),
+]
+
+
+@pytest.mark.parametrize("lang, text", OTHER_PROSE)
+def test_prose_of_other_scripts_is_kept(lang, text):
+    for known in (lang, None):
+        assert fertility.measure_one(text, known)[6]
+
+
+def test_junk_of_any_script_is_rejected():
+    rng = np.random.default_rng(0)
+    noise = " ".join(bytes(rng.integers(0, 256, 8).tolist()).decode("latin-1") for _ in range(80))
+    code = " ".join("".join(rng.choice(list("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/"), 60)) for _ in range(60))
+    marked = " ".join(w + m for w, m in zip(PROSE[0][1].split(" "), itertools.cycle(["###", "$$$", "%%%", "***"])))
+    for text, lang in ((noise, "en"), (noise, None), (code, "en"), (marked, "en"), ("ха ха " * 60, None)):
+        assert not fertility.measure_one(text, lang)[6]
+
+
 @pytest.mark.parametrize("lang, text", PROSE)
 def test_natural_prose_is_kept(lang, text):
     words_in = text.split(" ")
