@@ -206,6 +206,17 @@ def test_op3_mixture(spark, sf01):
     assert (per.max(axis=1) - per.min(axis=1) <= 2).all()
 
 
+def test_many_sources(spark):
+    """Cost grows with the rows, and with the sources of a schedule by a second for a thousand."""
+    docs = spark.range(30_000).selectExpr("id doc_id", "cast(id % 10000 as string) source", "'t' text")
+    got = sharding.interleave(docs).groupBy("shard").count().toPandas()
+    assert got["count"].tolist() == [3750] * 8
+    clock = time.perf_counter()
+    mixed = mixing.mix(docs.where("cast(source as int) < 1000")).toPandas()
+    assert time.perf_counter() - clock < 20
+    assert sorted(mixed.position) == list(range(3000)) and (mixed.release <= mixed.slot).all() and (mixed.slot < mixed.deadline).all()
+
+
 # 4 ---------------------------------------------------------------------------------------------
 
 

@@ -7,8 +7,8 @@ cutting it into equal stretches gives shards that all match the mixture, with
 sizes at most one row apart (the ``rows`` law).
 
 Only narrow rows are exchanged: twice, first by (source, key bucket), then by a
-bucket of the fraction. Offsets of both come from the small table of counts per
-(source, bucket); fractions are compared as whole numbers.
+bucket of the fraction. Offsets come from two small tables of counts: per (source,
+bucket), and per bucket of the fraction, of which there are ``MAX_BUCKETS`` at most.
 
 Defined cases: null source is a source of its own; null text has size 1 and the
 checksum of the empty text; rows with equal ids each get a slot of their own; fewer
@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from vecroute.llm.ranks import bucket_bits, bucket_counts, rank_in_stratum, seeded_key, stratum_key
+from vecroute.runtime import Workspace
 
 SEED = 20
 
@@ -29,22 +30,21 @@ def interleave(docs: DataFrame, n_shards: int = 8, seed: int = SEED) -> DataFram
     """``doc_id, source, size, text_crc32, position, law, shard, slot, grown_shard``."""
     if n_shards < 1:
         raise ValueError("at least one shard")
+    workspace = Workspace(docs.sparkSession, "shards")
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     keyed = docs.select("doc_id", "source", (F.octet_length(text).cast("long") + 1).alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), stratum_key(F.col("source")).alias("stratum"), seeded_key(seed, F.col("doc_id")).alias("shuffle_key"))
     total = docs.count()
     bits = bucket_bits(total)
     counts = bucket_counts(keyed, bits)
-    ranked = rank_in_stratum(keyed, counts, bits, [F.col("doc_id"), F.col("size"), F.col("text_crc32")])
-
     cells = 1 << bits
     odd = 2 * F.col("stratum_rank") + 1
-    ranked = ranked.withColumn("cell", F.expr(f"((2 * stratum_rank + 1) * {cells}) div (2 * stratum_rows)"))
-    # The rows of a stratum in cells below c are a whole-number function of its size.
-    sizes = counts.groupBy("stratum").agg(F.sum("n").alias("m"))
-    below = sizes.select(F.explode(F.expr(f"sequence(0L, {cells - 1}L)")).alias("cell"), "m").select("cell", F.expr(f"(2 * m * cell + {cells} - 1) div (2 * {cells})").alias("before"))
-    starts = below.groupBy("cell").agg(F.sum("before").alias("cell_start"))
+    ranked = rank_in_stratum(keyed, counts, bits, [F.col("doc_id"), F.col("size"), F.col("text_crc32")])
+    # Written, since the cells are counted before rows are numbered inside them.
+    ranked = workspace.keep(ranked.withColumn("cell", F.expr(f"((2 * stratum_rank + 1) * {cells}) div (2 * stratum_rows)")).drop("shuffle_key"), "ranked")
+    sizes = ranked.groupBy("cell").agg(F.count(F.lit(1)).alias("n"))
+    starts = sizes.select("cell", (F.sum("n").over(Window.orderBy("cell")) - F.col("n")).alias("cell_start"))
 
-    # (2r+1)/2n as a fraction: order by the double, then settle its rounding by the stratum.
+    # Fractions are compared as doubles; equal ones go by stratum.
     inside = Window.partitionBy("cell").orderBy(odd / F.col("stratum_rows"), "stratum", "stratum_rank")
     placed = ranked.withColumn("in_cell", F.row_number().over(inside)).join(starts, "cell").withColumn("position", F.col("cell_start") + F.col("in_cell") - 1)
     shard = F.expr(f"(position * {n_shards}) div {max(total, 1)}")
