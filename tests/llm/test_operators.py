@@ -132,6 +132,24 @@ def test_byte_share_is_that_of_the_vocabulary():
         assert fertility.byte_share(text, plain) == pytest.approx(fallback / len(text.encode()))
 
 
+def test_entropy_and_top_share():
+    for ids in ([], [5], [1, 1, 2, 3], list(range(100)), [7] * 50 + [8]):
+        n = Counter(ids)
+        want = -sum(c / len(ids) * math.log2(c / len(ids)) for c in n.values()) if ids else 0.0
+        assert fertility.token_entropy(np.array(ids, int)) == pytest.approx((want, max(n.values(), default=0) / max(1, len(ids))))
+
+
+def test_op1_verdict_by_hand(spark, sf):
+    """``kept`` of every row from its own measures and the bands, checked one by one."""
+    rules, lang = fertility.DEFAULT, table(spark, sf, "documents").select("doc_id", "lang").toPandas().set_index("doc_id").lang
+    bands = dict(rules.languages) | dict(rules.scripts)
+    for r in QUERIES["op1_fertility_rules"](spark, sf).toPandas().itertuples():
+        b, slack = bands.get(r.band, rules.other), fertility.NOISE / max(1, r.n_tokens) ** 0.5
+        assert r.band == lang[r.doc_id] or lang[r.doc_id] not in dict(rules.languages)
+        inside = [b.main[0] - slack < r.chars_per_token < b.main[1] + slack, b.multi[0] - slack < r.chars_per_token_multi < b.multi[1] + slack, r.token_entropy > b.entropy_low - slack, r.byte_share < b.byte_share_high, r.top_share < b.top_share_high + slack / 4]
+        assert r.kept == (not r.base_failed and (r.n_tokens < fertility.MIN_TOKENS or all(inside)))
+
+
 def test_fit_bands(spark, sf):
     clean = table(spark, sf, "documents").join(table(spark, sf, "labels").where("quality = 1"), "doc_id")
     bands = fertility.fit_bands(clean).toPandas()
@@ -247,6 +265,52 @@ def test_flat_traversal_equals_node_by_node():
     assert boosting.auc(m.score(x), y) > 0.97
 
 
+def plain_tree(x, y, margin, depth, rate, leaf_rows, ridge):
+    """One tree by trying every split at every value; the score it adds to each row."""
+    prob = 1 / (1 + np.exp(-margin))
+    grad, hess = prob - y, prob * (1 - prob)
+    out = np.zeros(len(y))
+
+    def grow(rows, level):
+        g, h = grad[rows].sum(), hess[rows].sum()
+        best = (1e-9, None)
+        for f in range(x.shape[1] if level < depth else 0):
+            for v in np.unique(x[:, f])[:-1]:
+                a, b = rows[x[rows, f] <= v], rows[x[rows, f] > v]
+                if len(a) >= leaf_rows and len(b) >= leaf_rows:
+                    gain = grad[a].sum() ** 2 / (hess[a].sum() + ridge) + grad[b].sum() ** 2 / (hess[b].sum() + ridge) - g**2 / (h + ridge)
+                    if gain > best[0] + 1e-9:
+                        best = (gain, (a, b))
+        if best[1] is None:
+            out[rows] = -g / (h + ridge) * rate
+        else:
+            grow(best[1][0], level + 1)
+            grow(best[1][1], level + 1)
+
+    grow(np.arange(len(y)), 0)
+    return out
+
+
+def test_fit_equals_a_plain_split_search():
+    """With a bin for each value, histograms find the splits that trying all of them finds."""
+    rng = np.random.default_rng(7)
+    x = np.round(rng.random((300, 4)) * 12) / 12
+    y = (x[:, 0] + 0.5 * x[:, 2] + 0.2 * rng.standard_normal(300) > 0.8).astype(float)
+    got = boosting.fit(x, y, trees=4, depth=3, rate=0.3, bins=300, leaf_rows=5, ridge=1.0)
+    margin = np.full(300, np.log(y.mean() / (1 - y.mean())))
+    for _ in range(4):
+        margin = margin + plain_tree(x, y, margin, 3, 0.3, 5, 1.0)
+    assert np.allclose(got.raw(x), margin)
+
+
+def test_statistics_of_a_text():
+    s = dict(zip(boosting.FEATURES, boosting.statistics("Ab c1 c1!\nAb c1 c1!\n| x, é."), strict=True))
+    raw = "Ab c1 c1!\nAb c1 c1!\n| x, é.".encode()
+    p = np.array(list(Counter(raw).values())) / len(raw)
+    assert s["log_words"] == np.log1p(9) and s["distinct_share"] == 6 / 9 and s["top_word_share"] == 2 / 9 and s["exclaim_per_word"] == 2 / 9
+    assert s["upper_share"] == 2 / 9 and s["duplicate_line_share"] == 1 / 3 and s["repeat_word_share"] == 6 / 9 and s["byte_entropy"] == pytest.approx(-(p * np.log2(p)).sum())
+
+
 def test_fit_without_labels():
     assert boosting.fit(np.zeros((0, 20)), np.zeros(0)).score(np.zeros((2, 20))).tolist() == [0.5, 0.5]
     assert boosting.fit(np.zeros((3, 20)), np.ones(3)).score(np.zeros((1, 20)))[0] > 0.99
