@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecroute.plans import router, search
+from vecroute.plans.sizes import small
 
 
 @dataclass
@@ -112,6 +113,18 @@ def partials(items: DataFrame, queries: DataFrame, w: int, k: int, trees: int =
     return asked.groupBy("sub_id").cogroup(placed.groupBy("sub_id")).applyInArrow(run, search.PARTIAL_DDL)
 
 
+def build(items: DataFrame, w: int, trees: int = 1, seed: int = 42) -> DataFrame:
+    """``sub_id, tree_nodes``: the trees of every part, grown and counted."""
+    placed = router.random_parts(items, w).select("sub_id", F.col("vec").cast("array<double>").alias("vec"))
+
+    def run(rows: pa.Table) -> pa.Table:
+        x = np.asarray(rows.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False), np.float64).reshape(rows.num_rows, -1)
+        nodes = sum(len(grow(x, np.random.default_rng([seed, t]), choices=5 if trees > 1 else 1).axis) for t in range(trees))
+        return pa.table({"sub_id": rows.column("sub_id").slice(0, 1).cast(pa.int32()), "tree_nodes": pa.array([nodes], pa.int64())})
+
+    return placed.groupBy("sub_id").applyInArrow(run, "sub_id int, tree_nodes long")
+
+
 def kd_route(items: DataFrame, depth: int, dimension: int) -> DataFrame:
     """``item_id, vec, sub_id``: the space cut by medians to ``2 ** depth`` cells, axes in turn.
 
@@ -121,5 +134,5 @@ def kd_route(items: DataFrame, depth: int, dimension: int) -> DataFrame:
     for level in range(depth):
         axis = F.col("vec")[level % dimension]
         cuts = out.groupBy("sub_id").agg(F.percentile(axis, 0.5).alias("cut"))
-        out = out.join(F.broadcast(cuts), "sub_id").select("item_id", "vec", (F.col("sub_id") * 2 + (axis > F.col("cut")).cast("int")).cast("int").alias("sub_id"))
+        out = out.join(small(cuts), "sub_id").select("item_id", "vec", (F.col("sub_id") * 2 + (axis > F.col("cut")).cast("int")).cast("int").alias("sub_id"))
     return out

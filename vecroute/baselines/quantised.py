@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -13,6 +14,7 @@ from pyspark.sql import functions as F
 from vecroute.functions import kernels, vectors
 from vecroute.plans import centers as center_plans
 from vecroute.plans.router import nearest_centers, top_rank
+from vecroute.plans.sizes import query_blocks
 
 
 def _lloyd(x: np.ndarray, k: int, rng: np.random.Generator, iters: int) -> tuple[np.ndarray, np.ndarray]:
@@ -74,6 +76,10 @@ def fit_items(items: DataFrame, codebooks: int = 8, rotate: bool = False, sample
 
 def ask(items: DataFrame, queries: DataFrame, quantiser: Quantiser, k: int, metric: str = "l2", rerank: int = 0) -> DataFrame:
     """``query_id, rank, item_id, score`` by compressed scores; ``rerank`` of them are scored again on raw vectors."""
+    blocks = query_blocks(queries)
+    if len(blocks) > 1:
+        out = [ask(items, b, quantiser, k, metric, rerank) for b in blocks]
+        return functools.reduce(DataFrame.unionByName, out)
     rows = queries.select("query_id", F.col("vec").cast("array<double>").alias("vec")).orderBy("query_id").toArrow()
     qid = rows.column("query_id").to_numpy()
     q = np.asarray(rows.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False), np.float64).reshape(len(qid), -1)

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import time
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -20,6 +21,7 @@ class Split:
     metric: str
     placement: DataFrame
     graphs: DataFrame
+    phases: dict[str, float] = field(default_factory=dict)
 
     def ask(self, queries: DataFrame, k: int, l: int = 100, max_evals: int | None = None) -> DataFrame:  # noqa: E741
         return search.merge_top_k(self.partials(queries, k, l, max_evals), k)
@@ -29,14 +31,17 @@ class Split:
         return search.search_subs(router.every_part(q, self.w), self.graphs, k, l, max_evals)
 
 
-def build(items: DataFrame, w: int, metric: str = "l2", builder: str = "auto", l: int = 100, seed: int = 42) -> Split:  # noqa: E741
+def build(items: DataFrame, w: int, metric: str = "l2", builder: str = "insert", l: int = 100, seed: int = 42) -> Split:  # noqa: E741
     """``w = 1`` is the single-machine graph."""
     ship(items.sparkSession)
     workspace = Workspace(items.sparkSession, "split")
     if metric == "cosine":
         items = items.select("item_id", vectors.normalise(F.col("vec")).alias("vec"))
+    clock = time.perf_counter()
     placement = workspace.keep(router.random_parts(items, w), "placement")
-    return Split(w, metric, placement, workspace.keep(search.build_all(placement, w, metric, l=l, seed=seed, builder=builder), "graphs"))
+    placed = time.perf_counter()
+    graphs = workspace.keep(search.build_all(placement, w, metric, l=l, seed=seed, builder=builder), "graphs")
+    return Split(w, metric, placement, graphs, {"partition": placed - clock, "graphs": time.perf_counter() - placed})
 
 
 def replicated(items: DataFrame, queries: DataFrame, workers: int, k: int, l: int = 100, metric: str = "l2", most_rows: int = 1_000_000) -> DataFrame:  # noqa: E741

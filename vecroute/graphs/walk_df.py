@@ -7,6 +7,8 @@ fit no single task.
 
 from __future__ import annotations
 
+import itertools
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -15,11 +17,12 @@ from vecroute.plans.router import top_rank
 from vecroute.runtime import Workspace
 
 
-def search(queries: DataFrame, edges: DataFrame, items: DataFrame, entry: int, k: int, l: int, metric: str = "l2", max_hops: int = 50, expand: int = 8, workspace: Workspace | None = None) -> DataFrame:  # noqa: E741
+def search(queries: DataFrame, edges: DataFrame, items: DataFrame, entry: int, k: int, l: int, metric: str = "l2", max_hops: int | None = None, expand: int = 8, workspace: Workspace | None = None) -> DataFrame:  # noqa: E741
     """``query_id, rank, item_id, score`` over ``edges(node, neighbour)``.
 
-    ``expand`` open vertices per query advance at once, so hops are few. Every step is
-    written, which cuts the lineage for good.
+    ``expand`` open vertices per query advance at once, so hops are few. The walk ends
+    when no query has an open vertex; ``max_hops`` ends it before, as a budget. Every step
+    is written, which cuts the lineage for good.
     """
     workspace = workspace or Workspace(queries.sparkSession, "walk")
     q = queries.select("query_id", F.col("vec").alias("q"))
@@ -29,7 +32,7 @@ def search(queries: DataFrame, edges: DataFrame, items: DataFrame, entry: int, k
         return pairs.join(x, "item_id").join(q, "query_id").select("query_id", "item_id", vectors.score(F.col("q"), F.col("vec"), metric).alias("score"), F.lit(True).alias("open"))
 
     beam = workspace.keep(scored(q.select("query_id", F.lit(entry).cast("long").alias("item_id"))), "beam")
-    for _ in range(max_hops):
+    for _ in itertools.count() if max_hops is None else range(max_hops):
         front = top_rank(beam.where("open"), "query_id", expand).select("query_id", F.col("item_id").alias("node"))
         nxt = front.join(edges, "node").select("query_id", F.col("neighbour").alias("item_id")).distinct()
         seen = beam.select("query_id", "item_id")

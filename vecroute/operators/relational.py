@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -45,6 +46,16 @@ def _partitioned(spark: SparkSession, d: str) -> DataFrame:
     return spark.read.parquet(at).where("label < 4").groupBy(F.col("label").cast("int").alias("label")).agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("src_bucketed_write", "SELECT c_mktsegment AS segment, count(*) AS n FROM orders JOIN customer ON c_custkey = o_custkey GROUP BY 1")
+def _bucketed(spark: SparkSession, d: str) -> DataFrame:
+    """Both sides written in buckets by the join key, so that the join needs no exchange."""
+    at, tag = Workspace(spark, "buckets").base, uuid.uuid4().hex[:8]
+    for name, df, key in (("o", table(spark, d, "orders").select("o_custkey"), "o_custkey"), ("c", table(spark, d, "customer").select("c_custkey", "c_mktsegment"), "c_custkey")):
+        df.write.mode("overwrite").bucketBy(8, key).sortBy(key).option("path", f"{at}/{name}").saveAsTable(f"vr_{name}_{tag}")
+    joined = spark.table(f"vr_o_{tag}").join(spark.table(f"vr_c_{tag}").hint("merge"), F.col("o_custkey") == F.col("c_custkey"))
+    return joined.groupBy(F.col("c_mktsegment").alias("segment")).agg(F.count(F.lit(1)).alias("n"))
+
+
 @query("src_rejects", "SELECT reason, count(*) AS n FROM (SELECT CASE WHEN vec_id % 50 = 0 THEN 'null' WHEN vec_id % 50 = 1 THEN 'length' WHEN vec_id % 50 = 2 THEN 'zero norm' END AS reason FROM embeddings) WHERE reason IS NOT NULL GROUP BY 1")
 def _rejects(spark: SparkSession, d: str) -> DataFrame:
     spoilt = F.when(F.col("item_id") % 50 == 0, F.lit(None)).when(F.col("item_id") % 50 == 1, F.slice("vec", 1, 3)).when(F.col("item_id") % 50 == 2, F.transform("vec", lambda x: x * 0)).otherwise(F.col("vec"))
@@ -101,9 +112,9 @@ def _semi(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "customer").select("c_custkey").join(big, "c_custkey", "left_semi")
 
 
-@query("join_anti", "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
+@query("join_anti", "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 200000)")
 def _anti(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "customer").select("c_custkey").join(_orders(spark, d).select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_anti")
+    return table(spark, d, "customer").select("c_custkey").join(_orders(spark, d).where("o_totalprice > 200000").select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_anti")
 
 
 for _how in ("left", "right", "full"):
@@ -233,6 +244,12 @@ def _majority(spark: SparkSession, d: str) -> DataFrame:
     return top_rank(n, "user_id", 1, "n", "event_type").select("user_id", "event_type")
 
 
+@query("agg_sort_fallback", "SELECT user_id, min(event_type) AS first, max(event_type) AS last FROM events GROUP BY 1")
+def _sort_aggregate(spark: SparkSession, d: str) -> DataFrame:
+    """Buffers of strings cannot change in place, so Spark sorts by key instead of hashing; the plan says SortAggregate."""
+    return table(spark, d, "events").groupBy("user_id").agg(F.min("event_type").alias("first"), F.max("event_type").alias("last"))
+
+
 # --- windows ---------------------------------------------------------------------------------------------
 
 
@@ -265,6 +282,15 @@ def _top_n(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "orders").select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").offset(5).limit(20)
 
 
+@query("ord_within_partitions", "SELECT user_id, arg_min(event_id, (ts, event_id)) AS first_event, count(*) AS n FROM events GROUP BY 1")
+def _within_partitions(spark: SparkSession, d: str) -> DataFrame:
+    """One exchange by user, a sort inside partitions, and a row number that needs neither again."""
+    e = table(spark, d, "events").select("user_id", "ts", "event_id").repartition("user_id").sortWithinPartitions("user_id", "ts", "event_id")
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    numbered = e.withColumn("r", F.row_number().over(w))
+    return numbered.groupBy("user_id").agg(F.max(F.when(F.col("r") == 1, F.col("event_id"))).alias("first_event"), F.count(F.lit(1)).alias("n"))
+
+
 @query("ord_per_key_topk", "SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders) WHERE r <= 3")
 def _per_key(spark: SparkSession, d: str) -> DataFrame:
     return top_rank(_orders(spark, d), "o_custkey", 3, "o_totalprice", "o_orderkey").select("o_custkey", "o_orderkey")

@@ -8,13 +8,14 @@ import uuid
 from dataclasses import asdict, dataclass, field, replace
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from vecroute.functions import kernels, vectors
 from vecroute.plans import centers as center_plans
 from vecroute.plans import cutgraph, mips, router, sampling, search
 from vecroute.runtime import Workspace, ship
+from vecroute.serving import planner
 
 
 @dataclass(frozen=True)
@@ -23,7 +24,7 @@ class Params:
 
     metric: str = "l2"
     m: int = 100
-    w: int = 10
+    w: int | None = 10  #: None: as many parts as the item count asks for
     n_prime: int | None = None
     degree: int = 16
     degree0: int = 32
@@ -33,19 +34,19 @@ class Params:
     copies: int = 1
     cut: str = "multilevel"
     centers: str = "kmeans"
-    route: str = "exact"
+    route: str = "graph"
     replicas: str = "exact"
     fix_ip: bool = True
     kmeans_iters: int = 10
     seed: int = 42
-    builder: str = "auto"
+    builder: str = "insert"
     hot_k: int = 1
     split_heavy: bool = True
 
     def __post_init__(self) -> None:
         if self.metric not in vectors.METRICS:
             raise ValueError(f"no metric {self.metric!r}")
-        if self.m < self.w or self.w < 1:
+        if self.w is not None and (self.m < self.w or self.w < 1):
             raise ValueError("at least one part, and a centre for each")
 
 
@@ -73,10 +74,16 @@ def choose_centers(items: DataFrame, p: Params, sample_queries: DataFrame | None
         found = center_plans.sampled(items, p.m, p.seed)
         if spherical:
             found = found.withColumn("vec", vectors.normalise(F.col("vec")))
+    elif p.centers == "hierarchical":
+        branches = max(2, round(p.m**0.5))
+        found = center_plans.hierarchical(sample, branches, -(-p.m // branches), p.kmeans_iters, p.seed)
+        if spherical:
+            found = found.withColumn("vec", vectors.normalise(F.col("vec")))
     else:
         found = center_plans.kmeans(sample, p.m, p.kmeans_iters, p.seed, spherical)
     ids, matrix = center_plans.as_matrix(found)
-    if p.split_heavy and p.centers == "kmeans" and p.w > 1:
+    ids = np.arange(len(matrix))
+    if p.split_heavy and p.centers in ("kmeans", "hierarchical") and p.w > 1:
         matrix = split_heavy(sample, matrix, p, spherical)
         ids = np.arange(len(matrix))
     fixed = center_plans.as_frame(items.sparkSession, matrix)
@@ -85,7 +92,7 @@ def choose_centers(items: DataFrame, p: Params, sample_queries: DataFrame | None
     if p.centers == "unweighted":
         return fixed
     meta = router.MetaIndex(ids, matrix, ids.astype(np.int32), p.metric, bulk=True)
-    members = router.assign(sample, meta).groupBy(F.col("sub_id").alias("center_id")).agg(F.count(F.lit(1)).cast("double").alias("weight"))
+    members = router.assign(sample, meta, "exact").groupBy(F.col("sub_id").alias("center_id")).agg(F.count(F.lit(1)).cast("double").alias("weight"))
     return fixed.drop("weight").join(members, "center_id", "left").select("center_id", "vec", F.coalesce("weight", F.lit(0.0)).alias("weight"))
 
 
@@ -102,13 +109,15 @@ def split_heavy(sample: DataFrame, matrix: np.ndarray, p: Params, spherical: boo
     done: set[int] = set()
     for _ in range(SPLIT_ROUNDS):
         meta = router.MetaIndex(np.arange(len(matrix)), matrix, np.arange(len(matrix), dtype=np.int32), p.metric, bulk=True)
-        near = router.assign(sample, meta)
+        near = router.assign(sample, meta, "exact")
         counts = {r.sub_id: r.n for r in near.groupBy("sub_id").agg(F.count(F.lit(1)).alias("n")).collect()}
         most = sum(counts.values()) / p.w / 2
         heavy = [c for c, n in sorted(counts.items()) if n > most and c not in done]
         if not heavy:
             break
-        rows = near.where(F.col("sub_id").isin(heavy)).select("sub_id", "vec", F.xxhash64("item_id").alias("h")).orderBy("h").limit(SPLIT_ROWS * len(heavy)).collect()
+        # Fewer than twice as many centres as parts are heavy, and each gives rows of its own.
+        mine = Window.partitionBy("sub_id").orderBy(F.xxhash64("item_id"), "item_id")
+        rows = near.where(F.col("sub_id").isin(heavy)).withColumn("n", F.row_number().over(mine)).where(F.col("n") <= SPLIT_ROWS).select("sub_id", "vec").collect()
         for c in heavy:
             x = np.array([r.vec for r in rows if r.sub_id == c])
             x = kernels.unit(x) if spherical else x
@@ -134,7 +143,7 @@ def cut_centers(centers: DataFrame, p: Params) -> tuple[DataFrame, router.MetaIn
     ids = np.array([r.center_id for r in rows], np.int64)
     matrix = np.array([r.vec for r in rows], np.float64)
     weight = np.array([r.weight for r in rows], np.float64)
-    meta = router.MetaIndex(ids, matrix, np.zeros(len(ids), np.int32), p.metric, p.degree, p.degree0, p.l, p.seed)
+    meta = router.MetaIndex(ids, matrix, np.zeros(len(ids), np.int32), p.metric, p.degree, p.degree0, p.l, p.seed, p.builder == "bulk")
     adjacency = cutgraph.symmetric(meta.graph.layers[0].links)
     w = min(p.w, len(ids))
     if p.cut == "random":
@@ -169,6 +178,8 @@ def build(items: DataFrame, p: Params, sample_queries: DataFrame | None = None,
     items = workspace.keep(items.select("item_id", F.col("vec").cast("array<double>").alias("vec")), "items")
     first = items.first()
     n, d = items.count(), len(first.vec) if first else 0
+    if p.w is None:
+        p = replace(p, w=min(p.m, planner.parts_for(n, d)))
     chosen = choose_centers(items, p, sample_queries)
     lap("centers")
     cut, meta, facts = cut_centers(chosen, p)
@@ -231,7 +242,7 @@ class Catalog:
         at = f"{self.path}/{version}"
         centers = self.spark.read.parquet(f"{at}/centers")
         rows = centers.orderBy("center_id").collect()
-        meta = router.MetaIndex(np.array([r.center_id for r in rows]), np.array([r.vec for r in rows]), np.array([r.sub_id for r in rows], np.int32), p.metric, p.degree, p.degree0, p.l, p.seed)
+        meta = router.MetaIndex(np.array([r.center_id for r in rows]), np.array([r.vec for r in rows]), np.array([r.sub_id for r in rows], np.int32), p.metric, p.degree, p.degree0, p.l, p.seed, p.builder == "bulk")
         return Index(p, row.n, row.d, centers, self.spark.read.parquet(f"{at}/placement"), self.spark.read.parquet(f"{at}/graphs"), meta, json.loads(row.phases))
 
     def refresh(self, items: DataFrame, params: Params | None = None) -> str:

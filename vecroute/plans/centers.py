@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from vecroute.functions import kernels, vectors
+from vecroute.plans.sizes import small
 
 SCHEMA = "center_id int, vec array<double>, weight double"
 
@@ -65,7 +66,7 @@ def lloyd_step(items: DataFrame, centers: DataFrame, metric: str = "l2") -> Data
 def nearest(items: DataFrame, centers: DataFrame, metric: str = "l2") -> DataFrame:
     """``item_id, vec, center_id``: the best centre of each item, ties to the smaller id, as expressions."""
     pool = centers.agg(F.sort_array(F.collect_list(F.struct("center_id", F.col("vec").alias("cv")))).alias("pool"))
-    scored = items.select("item_id", "vec").join(F.broadcast(pool))
+    scored = items.select("item_id", "vec").join(small(pool))
     best = F.array_max(F.transform("pool", lambda c: F.struct(vectors.score(F.col("vec"), c["cv"], metric).alias("s"), (-c["center_id"]).alias("neg"))))
     return scored.select("item_id", "vec", (-best["neg"]).cast("int").alias("center_id"))
 

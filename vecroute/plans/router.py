@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from vecroute.functions import kernels, vectors
 from vecroute.graphs import hnsw
+from vecroute.plans.sizes import small
 
 
 def nearest_centers(queries: DataFrame, centers: DataFrame, branching: int, metric: str = "l2") -> DataFrame:
@@ -21,21 +22,21 @@ def nearest_centers(queries: DataFrame, centers: DataFrame, branching: int, metr
     pool = centers.agg(F.sort_array(F.collect_list(F.struct("center_id", F.col("vec").alias("cv")))).alias("pool"))
     scored = F.transform("pool", lambda c: F.struct((-vectors.score(F.col("vec"), c["cv"], metric)).alias("cost"), c["center_id"].alias("center_id")))
     best = F.slice(F.sort_array(scored), 1, branching)
-    return queries.select("query_id", "vec").join(F.broadcast(pool)).select("query_id", "vec", F.posexplode(best).alias("pos", "c")).select("query_id", "vec", F.col("c.center_id").alias("center_id"), (F.col("pos") + 1).cast("int").alias("rank"))
+    return queries.select("query_id", "vec").join(small(pool)).select("query_id", "vec", F.posexplode(best).alias("pos", "c")).select("query_id", "vec", F.col("c.center_id").alias("center_id"), (F.col("pos") + 1).cast("int").alias("rank"))
 
 
 def route_sql(queries: DataFrame, centers: DataFrame, branching: int, metric: str = "l2") -> DataFrame:
     """``query_id, sub_id``: the distinct parts of the ``branching`` best centres."""
     found = nearest_centers(queries, centers.select("center_id", "vec"), branching, metric)
-    return found.join(F.broadcast(centers.select("center_id", "sub_id")), "center_id").select("query_id", "sub_id").distinct()
+    return found.join(small(centers.select("center_id", "sub_id")), "center_id").select("query_id", "sub_id").distinct()
 
 
 class MetaIndex:
     """The routing graph over centres with the part of each; small, and broadcast."""
 
-    def __init__(self, ids: np.ndarray, matrix: np.ndarray, sub_of: np.ndarray, metric: str, degree: int = 16, degree0: int = 32, l: int = 100, seed: int = 42, bulk: bool | None = None):  # noqa: E741
+    def __init__(self, ids: np.ndarray, matrix: np.ndarray, sub_of: np.ndarray, metric: str, degree: int = 16, degree0: int = 32, l: int = 100, seed: int = 42, bulk: bool = False):  # noqa: E741
         self.metric, self.l = metric, l
-        make = hnsw.build_bulk if (bulk if bulk is not None else len(ids) > 1500) else hnsw.build
+        make = hnsw.build_bulk if bulk else hnsw.build
         extra = {} if make is hnsw.build_bulk else {"l": l}
         self.graph = make(ids, matrix, metric, degree=degree, degree0=degree0, seed=seed, **extra)
         order = np.argsort(ids, kind="stable")
@@ -97,11 +98,11 @@ def route(queries: DataFrame, meta: MetaIndex, branching: int, mode: str = "grap
     return out if keep_rank else out.drop("rank")
 
 
-def assign(items: DataFrame, meta: MetaIndex, mode: str = "exact", copies: int = 1) -> DataFrame:
+def assign(items: DataFrame, meta: MetaIndex, mode: str = "graph", copies: int = 1) -> DataFrame:
     """``sub_id, item_id, vec, via``: the part of the nearest centre, or of the ``copies`` nearest parts.
 
-    Routing needs no exchange. ``mode='exact'`` scores a block against all centres in
-    one matrix product; ``'graph'`` walks the routing graph.
+    Routing needs no exchange. ``mode='graph'`` walks the routing graph; ``'exact'``
+    scores a block against all centres in one matrix product.
     """
     shared = share(items, meta)
 
@@ -129,7 +130,7 @@ def assign_sql(items: DataFrame, centers: DataFrame, metric: str = "l2") -> Data
     from vecroute.plans.centers import nearest
 
     near = nearest(items, centers, metric)
-    return near.join(F.broadcast(centers.select("center_id", "sub_id")), "center_id").select("sub_id", "item_id", "vec", F.lit("primary").alias("via"))
+    return near.join(small(centers.select("center_id", "sub_id")), "center_id").select("sub_id", "item_id", "vec", F.lit("primary").alias("via"))
 
 
 def random_parts(items: DataFrame, w: int) -> DataFrame:

@@ -13,22 +13,28 @@ from pyspark.sql import functions as F
 from vecroute.functions import kernels, vectors
 from vecroute.graphs import hnsw
 from vecroute.plans.router import top_rank
+from vecroute.plans.sizes import query_blocks, small
+from vecroute.runtime import ship
 
 GRAPH_DDL = f"sub_id int, {hnsw.ROW_DDL}"
-#: Items up to which a part is built by insertion; larger ones by the bulk builder.
-INSERT_ITEMS = 1000
+#: Items of a part, and queries that visit it, which a task of a scan holds at a time.
+SCAN_ITEMS, SCAN_QUERIES = 1 << 17, 1 << 14
 
 
-def build_all(placement: DataFrame, w: int, metric: str = "l2", degree: int = 16, degree0: int = 32, l: int = 100, seed: int = 42, builder: str = "auto") -> DataFrame:  # noqa: E741
-    """One graph row per part. The exchange by part is the only one of the whole data set."""
+def build_all(placement: DataFrame, w: int, metric: str = "l2", degree: int = 16, degree0: int = 32, l: int = 100, seed: int = 42, builder: str = "insert") -> DataFrame:  # noqa: E741
+    """One graph row per part, by insertion or with ``builder='bulk'`` from blocked neighbours.
+
+    The exchange by part is the only one of the whole data set.
+    """
+    if builder not in ("insert", "bulk"):
+        raise ValueError(f"no builder {builder!r}")
 
     def make(key: tuple, t: pa.Table) -> pa.Table:
         ids = t.column("item_id").to_numpy()
         x = np.asarray(t.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False), np.float64).reshape(len(ids), -1)
         ids, first = np.unique(ids, return_index=True)
         x = x[first]
-        bulk = builder == "bulk" or builder == "auto" and ids.size > INSERT_ITEMS
-        graph = hnsw.build_bulk(ids, x, metric, degree, degree0, seed) if bulk else hnsw.build(ids, x, metric, degree, degree0, l, seed)
+        graph = hnsw.build_bulk(ids, x, metric, degree, degree0, seed) if builder == "bulk" else hnsw.build(ids, x, metric, degree, degree0, l, seed)
         row = {"sub_id": key[0].as_py(), **hnsw.to_row(graph)}
         return pa.Table.from_pylist([row], schema=_arrow_schema())
 
@@ -69,11 +75,41 @@ def search_subs(routed: DataFrame, graphs: DataFrame, k: int, l: int = 100, max_
     return asked.groupBy("sub_id", "chunk").cogroup(index.groupBy("sub_id", "chunk")).applyInArrow(run, PARTIAL_DDL)
 
 
-def scan_subs(routed: DataFrame, placement: DataFrame, k: int, metric: str = "l2") -> DataFrame:
-    """The same by scoring every item of the visited parts: routing loss without graph loss."""
-    pairs = routed.select("query_id", F.col("vec").alias("q"), "sub_id").join(placement.select("sub_id", "item_id", "vec"), "sub_id")
-    scored = pairs.select("query_id", "sub_id", "item_id", vectors.score(F.col("q"), F.col("vec"), metric).alias("score"))
-    return top_rank(scored.withColumn("qs", F.struct("query_id", "sub_id")), "qs", k).drop("qs", "rank")
+def _matrix(t: pa.Table) -> np.ndarray:
+    return np.asarray(t.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False), np.float64).reshape(t.num_rows, -1)
+
+
+def scan_subs(routed: DataFrame, placement: DataFrame, k: int, metric: str = "l2", scan_items: int = SCAN_ITEMS, scan_queries: int = SCAN_QUERIES) -> DataFrame:
+    """The same by scoring every item of the visited parts: routing loss without graph loss.
+
+    Queries and items of a part meet once, in blocked matrix products. A part of many
+    items or queries is dealt to as many tasks as its counts ask for.
+    """
+    ship(placement.sparkSession)
+    items = placement.groupBy("sub_id").agg(F.count(F.lit(1)).alias("n")).select("sub_id", F.ceil(F.col("n") / scan_items).cast("int").alias("item_chunks"))
+    asked = routed.groupBy("sub_id").agg(F.count(F.lit(1)).alias("n")).select("sub_id", F.ceil(F.col("n") / scan_queries).cast("int").alias("query_chunks"))
+    plan = small(items.join(asked, "sub_id"))
+    every = lambda c: F.explode(F.sequence(F.lit(0), F.col(c) - 1))
+    mine = lambda key, c: F.pmod(F.xxhash64(key), F.col(c)).cast("int")
+    left = routed.select("query_id", F.col("vec").cast("array<double>").alias("vec"), "sub_id").join(plan, "sub_id").select("query_id", "vec", "sub_id", mine("query_id", "query_chunks").alias("qc"), every("item_chunks").alias("ic"))
+    right = placement.select("sub_id", "item_id", F.col("vec").cast("array<double>").alias("vec")).join(plan, "sub_id").select("sub_id", "item_id", "vec", mine("item_id", "item_chunks").alias("ic"), every("query_chunks").alias("qc"))
+
+    def run(queries: pa.Table, rows: pa.Table) -> pa.Table:
+        out: list[tuple] = []
+        if queries.num_rows and rows.num_rows:
+            qid, q = queries.column("query_id").to_numpy(), _matrix(queries)
+            ids, x = rows.column("item_id").to_numpy(), _matrix(rows)
+            step = max(1, (1 << 24) // len(ids))
+            for at in range(0, len(qid), step):
+                row, found, scores = kernels.best_pairs(q[at : at + step], x, ids, k, metric)
+                out.append((qid[at + row], found, scores))
+        parts = [np.concatenate(c) for c in zip(*out, strict=True)] if out else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
+        sub = queries.column("sub_id")[0].as_py() if queries.num_rows else 0
+        return pa.table({"query_id": pa.array(parts[0], pa.int64()), "sub_id": pa.array(np.full(len(parts[0]), sub, np.int32)), "item_id": pa.array(parts[1], pa.int64()), "score": pa.array(parts[2], pa.float64())})
+
+    keys = ["sub_id", "ic", "qc"]
+    found = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, "query_id long, sub_id int, item_id long, score double")
+    return top_rank(found.withColumn("qs", F.struct("query_id", "sub_id")), "qs", k).drop("qs", "rank")
 
 
 def merge_top_k(partials: DataFrame, k: int) -> DataFrame:
@@ -89,49 +125,56 @@ def as_lists(result: DataFrame) -> DataFrame:
 
 def exact_topk(queries: DataFrame, items: DataFrame, k: int, metric: str = "l2", exclude_self: bool = False) -> DataFrame:
     """The linear scan as one relational plan: the truth that measures refer to."""
-    pairs = items.select("item_id", "vec").crossJoin(F.broadcast(queries.select("query_id", F.col("vec").alias("q"))))
+    pairs = items.select("item_id", "vec").crossJoin(small(queries.select("query_id", F.col("vec").alias("q"))))
     if exclude_self:
         pairs = pairs.where("query_id <> item_id")
     scored = pairs.select("query_id", "item_id", vectors.score(F.col("q"), F.col("vec"), metric).alias("score"))
     return top_rank(scored, "query_id", k).select("query_id", "rank", "item_id", "score")
 
 
-#: Query bytes that a scan may broadcast.
-MAX_QUERY_BYTES = 256 << 20
-
-
 def exact_topk_blocks(queries: DataFrame, items: DataFrame, k: int, metric: str = "l2", exclude_self: bool = False) -> DataFrame:
     """The linear scan by matrix products: each item batch keeps its best ``k`` per query.
 
-    The query set is stated and bounded, and its size is checked before it is sent.
+    Queries are sent to the items, in as many passes as the bound of a broadcast asks for.
     """
+    ship(items.sparkSession)
+    passes = [_scan_pass(block, items, k, metric, exclude_self) for block in query_blocks(queries)]
+    out = passes[0]
+    for p in passes[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+def _scan_pass(queries: DataFrame, items: DataFrame, k: int, metric: str, exclude_self: bool) -> DataFrame:
     rows = queries.select("query_id", F.col("vec").cast("array<double>").alias("vec")).orderBy("query_id").toArrow()
     qid = rows.column("query_id").to_numpy()
-    q = np.asarray(rows.column("vec").combine_chunks().flatten().to_numpy(zero_copy_only=False), np.float64).reshape(len(qid), -1)
-    if q.nbytes > MAX_QUERY_BYTES:
-        raise ValueError(f"{q.nbytes} bytes of queries are too many for one scan; split the query set")
-    shared = items.sparkSession.sparkContext.broadcast((qid, q))
+    shared = items.sparkSession.sparkContext.broadcast((qid, _matrix(rows) if len(qid) else np.zeros((0, 1))))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         qid, q = shared.value
-        if not len(qid):
-            return
-        best_ids, best = np.full((len(qid), k), np.iinfo(np.int64).max), np.full((len(qid), k), -np.inf)
+        held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+
+        def reduced() -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+            row, ids, s = (np.concatenate(c) for c in zip(*held, strict=True))
+            order = np.lexsort((ids, -s, row))
+            row, ids, s = row[order], ids[order], s[order]
+            keep = np.arange(row.size) - np.searchsorted(row, row, "left") < k
+            return [(row[keep], ids[keep], s[keep])]
+
         for whole in batches:
-            for s in range(0, whole.num_rows, 4096):
-                b = whole.slice(s, 4096)
+            for at in range(0, whole.num_rows if len(qid) else 0, 8192):
+                b = whole.slice(at, 8192)
                 ids = b.column(0).to_numpy()
                 x = np.asarray(b.column(1).flatten().to_numpy(zero_copy_only=False), np.float64).reshape(len(ids), -1)
-                for a in range(0, len(qid), 512):
-                    g = kernels.score_matrix(q[a : a + 512], x, metric)
-                    if exclude_self:
-                        g[qid[a : a + 512][:, None] == ids[None, :]] = -np.inf
-                    all_ids = np.concatenate([best_ids[a : a + 512], np.broadcast_to(ids, g.shape)], axis=1)
-                    all_scores = np.concatenate([best[a : a + 512], g], axis=1)
-                    order = np.lexsort((all_ids, -all_scores), axis=1)[:, :k]
-                    best_ids[a : a + 512], best[a : a + 512] = np.take_along_axis(all_ids, order, 1), np.take_along_axis(all_scores, order, 1)
-        row, col = np.nonzero(np.isfinite(best))
-        yield pa.RecordBatch.from_arrays([pa.array(qid[row]), pa.array(best_ids[row, col]), pa.array(best[row, col])], ["query_id", "item_id", "score"])
+                for a in range(0, len(qid), 1024):
+                    skip = qid[a : a + 1024][:, None] == ids[None, :] if exclude_self else None
+                    row, found, s = kernels.best_pairs(q[a : a + 1024], x, ids, k, metric, skip)
+                    held.append((row + a, found, s))
+                if sum(len(h[0]) for h in held) > 8 * k * len(qid):
+                    held = reduced()
+        if held:
+            row, ids, s = reduced()[0]
+            yield pa.RecordBatch.from_arrays([pa.array(qid[row]), pa.array(ids), pa.array(s)], ["query_id", "item_id", "score"])
 
     partial = items.select("item_id", F.col("vec").cast("array<double>").alias("vec")).mapInArrow(run, "query_id long, item_id long, score double")
     return top_rank(partial, "query_id", k).select("query_id", "rank", "item_id", "score")

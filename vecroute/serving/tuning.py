@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
@@ -36,6 +38,34 @@ def sweep(index: builder.Index, queries: DataFrame, truth: DataFrame, branchings
     return out
 
 
+def least_work(ask: Callable[[int], DataFrame], queries: DataFrame, truth: DataFrame, target: float, k: int = 10, most: int = 4096, steps: int = 7) -> Setting:
+    """The smallest cap on evaluations per visited part that reaches ``target``, by bisection; ``l`` holds the cap.
+
+    ``ask(cap)`` gives partial answers with their ``evals``. If no cap up to ``most`` reaches
+    the target, the setting of the largest is returned.
+    """
+    workspace, n = Workspace(queries.sparkSession, "least"), queries.count()
+
+    def at(cap: int) -> Setting:
+        found = workspace.keep(ask(cap), "partials")
+        per = found.select("query_id", "sub_id", "evals").distinct().agg(F.sum("evals")).first()[0] or 0
+        out = Setting(0, cap, measures.precision(search.merge_top_k(found, k), truth, k).first().precision, per / max(1, n))
+        workspace.drop(found)
+        return out
+
+    # Caps grow by a factor, so the search is over their logarithm.
+    low, high = math.log2(k), math.log2(most)
+    best = at(most)
+    for _ in range(steps if best.precision >= target else 0):
+        middle = (low + high) / 2
+        s = at(round(2**middle))
+        if s.precision >= target:
+            best, high = s, middle
+        else:
+            low = middle
+    return best
+
+
 def match_precision(index: builder.Index, queries: DataFrame, truth: DataFrame, target: float, branchings: list[int], beams: list[int], k: int = 10) -> Setting:
     """Of the settings that reach ``target``, the one of fewest evaluations; else the most precise."""
     all_ = sweep(index, queries, truth, branchings, beams, k)

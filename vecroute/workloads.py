@@ -14,8 +14,9 @@ from vecroute.baselines import kdtree, quantised, random_split
 from vecroute.functions import measures, vectors
 from vecroute.graphs import knn_graph
 from vecroute.plans import builder, centers, mips, router, sampling, search
+from vecroute.plans.sizes import small
 from vecroute.registry import query
-from vecroute.runtime import ship, table
+from vecroute.runtime import Workspace, ship, table
 from vecroute.serving import dispatch
 from vecroute.sources import datasets
 
@@ -187,7 +188,7 @@ _SQL_KS = "(SELECT unnest([" + ", ".join(map(str, BRANCHINGS)) + "]) AS branchin
 
 def _ranked_routes(q: DataFrame, c: DataFrame) -> DataFrame:
     """One routing pass for all branching factors: the best rank of each part per query."""
-    found = router.nearest_centers(q, c.select("center_id", "vec"), max(BRANCHINGS)).join(F.broadcast(c.select("center_id", "sub_id")), "center_id")
+    found = router.nearest_centers(q, c.select("center_id", "vec"), max(BRANCHINGS)).join(small(c.select("center_id", "sub_id")), "center_id")
     reach = found.groupBy("query_id", "sub_id").agg(F.min("rank").alias("reach"))
     ks = F.explode(F.array(*[F.lit(b) for b in BRANCHINGS])).alias("branching")
     return reach.select("query_id", "sub_id", "reach", ks).where("reach <= branching")
@@ -204,18 +205,24 @@ _SQL_CURVE = f"WITH {ctes()}, {sql_route('l2')}, {sql_placed('l2')}, {sql_truth(
 
 @query("precision_curve_exact_sub", _SQL_CURVE)
 def _precision_curve(spark: SparkSession, d: str) -> DataFrame:
+    """One scan of the visited parts serves all branching factors: a part's best are the same in each."""
+    ws = Workspace(spark, "curve")
     x, q, c = fixed(spark, d)
-    routes = _ranked_routes(q, c).join(q, "query_id")
-    placed = router.assign_sql(x, c)
-    pairs = routes.join(placed.select("sub_id", "item_id", F.col("vec").alias("x")), "sub_id").select(F.struct("branching", "query_id").alias("bq"), "item_id", vectors.score(F.col("vec"), F.col("x"), "l2").alias("score"))
-    found = router.top_rank(pairs, "bq", K).select("bq.branching", "bq.query_id", "rank", "item_id")
-    return measures.precision(found, search.exact_topk(q, x, K), K, ["branching"]).select("branching", F.round("precision", 6).alias("precision"))
+    x, q = ws.keep(x, "items"), ws.keep(q, "queries")
+    routes = ws.keep(_ranked_routes(q, c), "routes")
+    reached = routes.select("query_id", "sub_id").distinct().join(q, "query_id")
+    found = ws.keep(search.scan_subs(reached, ws.keep(router.assign_sql(x, c), "placed"), K), "found")
+    wide = found.join(routes, ["query_id", "sub_id"]).withColumn("bq", F.struct("branching", "query_id"))
+    best = router.top_rank(wide.select("bq", "branching", "query_id", "item_id", "score"), "bq", K).select("branching", "query_id", "rank", "item_id")
+    return measures.precision(best, search.exact_topk_blocks(q, x, K), K, ["branching"]).select("branching", F.round("precision", 6).alias("precision"))
 
 
 def _det_answer(spark: SparkSession, d: str, name: str, metric: str, branching: int) -> DataFrame:
+    ws = Workspace(spark, "routed")
     x, q, c = fixed(spark, d, name)
-    routed = router.route_sql(q, c, branching, metric).join(q, "query_id")
-    return search.merge_top_k(search.scan_subs(routed, router.assign_sql(x, c, metric), K, metric), K)
+    x, q, c = ws.keep(x, "items"), ws.keep(q, "queries"), ws.keep(c, "centers")
+    routed = ws.keep(router.route_sql(q, c, branching, metric).join(q, "query_id"), "routes")
+    return search.merge_top_k(search.scan_subs(routed, ws.keep(router.assign_sql(x, c, metric), "placed"), K, metric), K)
 
 
 def sql_det(name: str, metric: str, branching: int) -> str:
@@ -243,7 +250,7 @@ _SQL_TWO = "p2 AS (SELECT item_id, vec, center_id, sub_id FROM (SELECT e.item_id
 @query("merge_dedup_topk", f"WITH {ctes()}, {sql_route('l2')}, {_SQL_TWO}, v AS (SELECT DISTINCT query_id, sub_id FROM r WHERE rank <= 5), u AS (SELECT DISTINCT v.query_id, p2.item_id, round(-list_distance(q.vec, p2.vec), 6) AS s FROM v JOIN p2 ON p2.sub_id = v.sub_id JOIN q ON q.query_id = v.query_id) SELECT query_id, CAST(rank AS INTEGER) AS rank, item_id, s AS score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY s DESC, item_id) AS rank FROM u) WHERE rank <= {K}")
 def _merge_dedup(spark: SparkSession, d: str) -> DataFrame:
     x, q, c = fixed(spark, d)
-    near = router.nearest_centers(x.select(F.col("item_id").alias("query_id"), "vec"), c.select("center_id", "vec"), 3).join(F.broadcast(c.select("center_id", "sub_id")), "center_id")
+    near = router.nearest_centers(x.select(F.col("item_id").alias("query_id"), "vec"), c.select("center_id", "vec"), 3).join(small(c.select("center_id", "sub_id")), "center_id")
     placed = near.select("sub_id", F.col("query_id").alias("item_id"), "vec")
     routed = router.route_sql(q, c, 5).join(q, "query_id")
     found = search.scan_subs(routed, placed.dropDuplicates(["sub_id", "item_id"]), K).withColumn("score", F.round("score", 6))
@@ -254,7 +261,7 @@ def _merge_dedup(spark: SparkSession, d: str) -> DataFrame:
 def _multi_assign(spark: SparkSession, d: str) -> DataFrame:
     x, _, c = fixed(spark, d)
     pool = c.agg(F.collect_list(F.struct("center_id", "sub_id", F.col("vec").alias("cv"))).alias("pool"))
-    scored = x.join(F.broadcast(pool)).select("item_id", F.explode(F.transform("pool", lambda p: F.struct(p["sub_id"].alias("sub_id"), vectors.score(F.col("vec"), p["cv"], "l2").alias("s")))).alias("o"))
+    scored = x.join(small(pool)).select("item_id", F.explode(F.transform("pool", lambda p: F.struct(p["sub_id"].alias("sub_id"), vectors.score(F.col("vec"), p["cv"], "l2").alias("s")))).alias("o"))
     best = scored.groupBy("item_id", "o.sub_id").agg(F.max("o.s").alias("s"))
     return router.top_rank(best, "item_id", 2, "s", "sub_id").select("item_id", "sub_id")
 
@@ -315,10 +322,11 @@ def _precision_by_r(spark: SparkSession, d: str) -> DataFrame:
 
 for _set in ("emb", "emb_scaled", "letters", "hashtext"):
 
-    @query(f"ip_norm_share_{_set}", f"WITH {ctes(_set)}, {sql_truth('ip', K, 'query_id % 70 = 3')}, b AS (SELECT item_id, ntile(20) OVER (ORDER BY round(sqrt(list_inner_product(vec, vec)), 6) DESC, item_id) AS bin FROM e) SELECT CAST(bin AS INTEGER) AS bin, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM t JOIN b USING (item_id) GROUP BY 1")
+    @query(f"ip_norm_share_{_set}", f"WITH {ctes(_set)}, {sql_truth('ip')}, b AS (SELECT item_id, ntile(20) OVER (ORDER BY round(sqrt(list_inner_product(vec, vec)), 6) DESC, item_id) AS bin FROM e) SELECT CAST(bin AS INTEGER) AS bin, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM t JOIN b USING (item_id) GROUP BY 1")
     def _norm_share(spark: SparkSession, d: str, name: str = _set) -> DataFrame:
-        x, q, _ = fixed(spark, d, name)
-        truth = search.exact_topk(q.where("query_id % 70 = 3"), x, K, "ip")
+        """Vectors are computed once and written, since they are scanned, ranked and counted."""
+        x = Workspace(spark, "norms").keep(datasets.items(spark, d, name), "items")
+        truth = search.exact_topk_blocks(datasets.sampled_queries(x), x, K, "ip")
         return measures.norm_share(truth, x).select("bin", F.round("share", 6).alias("share"))
 
 
@@ -424,9 +432,10 @@ def _bytes(spark: SparkSession, d: str) -> DataFrame:
 
 @query("radius_search", f"WITH {ctes()} SELECT query_id, item_id, round(-list_distance(q.vec, e.vec), 6) AS score FROM q, e WHERE list_distance(q.vec, e.vec) <= 1.2")
 def _radius(spark: SparkSession, d: str) -> DataFrame:
+    """Every item against the stated query set."""
     x, q, _ = fixed(spark, d)
     s = vectors.score(F.col("q"), F.col("vec"), "l2")
-    return x.crossJoin(F.broadcast(q.select("query_id", F.col("vec").alias("q")))).where(s >= -1.2).select("query_id", "item_id", F.round(s, 6).alias("score"))
+    return x.crossJoin(small(q.select("query_id", F.col("vec").alias("q")))).where(s >= -1.2).select("query_id", "item_id", F.round(s, 6).alias("score"))
 
 
 @query("filtered_search", f"WITH {ctes()}, f AS (SELECT e.* FROM e JOIN embeddings ON vec_id = item_id WHERE label IN (1, 3)), t AS (SELECT * FROM (SELECT query_id, item_id, s, row_number() OVER (PARTITION BY query_id ORDER BY s DESC, item_id) AS rank FROM (SELECT query_id, f.item_id, -list_distance(q.vec, f.vec) AS s FROM q, f)) WHERE rank <= {K}) {SQL_ANSWER}")
@@ -445,12 +454,12 @@ def _filtered_after(spark: SparkSession, d: str) -> DataFrame:
     return tidy(router.top_rank(wide, "query_id", K))
 
 
-@query("knn_label_vote", f"WITH e AS ({datasets.SQL['letters']}), l AS (SELECT e.item_id, e.vec, quality FROM e JOIN labels ON doc_id = item_id), n AS (SELECT q.item_id AS query_id, l.quality, row_number() OVER (PARTITION BY q.item_id ORDER BY round(list_cosine_similarity(q.vec, l.vec), 6) DESC, l.item_id) AS r FROM l q, l WHERE q.item_id % 10 = 1 AND q.item_id <> l.item_id), v AS (SELECT query_id, quality, count(*) AS n FROM n WHERE r <= 5 GROUP BY 1, 2) SELECT query_id, CAST(quality AS INTEGER) AS voted FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY n DESC, quality) AS r FROM v) WHERE r = 1")
+@query("knn_label_vote", f"WITH e AS ({datasets.SQL['letters']}), l AS (SELECT e.item_id, e.vec, quality FROM e JOIN labels ON doc_id = item_id), n AS (SELECT q.item_id AS query_id, l.quality, row_number() OVER (PARTITION BY q.item_id ORDER BY round(list_cosine_similarity(q.vec, l.vec), 6) DESC, l.item_id) AS r FROM l q, l WHERE q.item_id % 20 = 0 AND q.item_id <> l.item_id), v AS (SELECT query_id, quality, count(*) AS n FROM n WHERE r <= 5 GROUP BY 1, 2) SELECT query_id, CAST(quality AS INTEGER) AS voted FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY n DESC, quality) AS r FROM v) WHERE r = 1")
 def _vote(spark: SparkSession, d: str) -> DataFrame:
     known = datasets.items(spark, d, "letters").join(table(spark, d, "labels").select(F.col("doc_id").alias("item_id"), "quality"), "item_id")
-    q = known.where("item_id % 10 = 1").select(F.col("item_id").alias("query_id"), F.col("vec").alias("q"))
+    q = known.where("item_id % 20 = 0").select(F.col("item_id").alias("query_id"), F.col("vec").alias("q"))
     s = F.round(vectors.cosine(F.col("q"), F.col("vec")), 6)
-    near = router.top_rank(known.crossJoin(F.broadcast(q)).where("query_id <> item_id").select("query_id", "item_id", "quality", s.alias("score")), "query_id", 5)
+    near = router.top_rank(known.crossJoin(small(q)).where("query_id <> item_id").select("query_id", "item_id", "quality", s.alias("score")), "query_id", 5)
     votes = near.groupBy("query_id", "quality").agg(F.count(F.lit(1)).alias("n"))
     return votes.groupBy("query_id").agg(F.max(F.struct("n", (-F.col("quality")).alias("m"))).alias("b")).select("query_id", (-F.col("b.m")).cast("int").alias("voted"))
 
@@ -458,7 +467,7 @@ def _vote(spark: SparkSession, d: str) -> DataFrame:
 @query("edit_distance_neighbours", "WITH n AS (SELECT DISTINCT p_name FROM part) SELECT name, CAST(rank AS INTEGER) AS rank, neighbour, distance FROM (SELECT a.p_name AS name, b.p_name AS neighbour, CAST(levenshtein(a.p_name, b.p_name) AS INTEGER) AS distance, row_number() OVER (PARTITION BY a.p_name ORDER BY levenshtein(a.p_name, b.p_name), b.p_name) AS rank FROM n a, n b WHERE a.p_name <> b.p_name) WHERE rank <= 3")
 def _edit(spark: SparkSession, d: str) -> DataFrame:
     names = table(spark, d, "part").select("p_name").distinct()
-    pairs = names.select(F.col("p_name").alias("name")).crossJoin(F.broadcast(names.select(F.col("p_name").alias("neighbour")))).where("name <> neighbour")
+    pairs = names.select(F.col("p_name").alias("name")).crossJoin(small(names.select(F.col("p_name").alias("neighbour")))).where("name <> neighbour")
     scored = pairs.select("name", "neighbour", F.levenshtein("name", "neighbour").alias("distance"), (-F.levenshtein("name", "neighbour")).alias("score"))
     return router.top_rank(scored, "name", 3, tie="neighbour").select("name", F.col("rank").cast("int").alias("rank"), "neighbour", "distance")
 
@@ -467,7 +476,7 @@ def _edit(spark: SparkSession, d: str) -> DataFrame:
 def _recommend(spark: SparkSession, d: str) -> DataFrame:
     u = datasets.items(spark, d, "uservec").where("item_id % 20 = 0").select(F.col("item_id").alias("user_id"), F.col("vec").alias("u"))
     s = F.round(vectors.dot(F.col("u"), F.col("vec")), 4)
-    scored = datasets.items(spark, d, "partvec").crossJoin(F.broadcast(u)).select("user_id", "item_id", s.alias("score"))
+    scored = datasets.items(spark, d, "partvec").crossJoin(small(u)).select("user_id", "item_id", s.alias("score"))
     return router.top_rank(scored, "user_id", 5).select("user_id", F.col("rank").cast("int").alias("rank"), "item_id")
 
 
@@ -479,15 +488,18 @@ def _passages(spark: SparkSession, d: str) -> DataFrame:
     docs = table(spark, d, "documents").select("doc_id", "text")
     tokens = cut("text")
     keys = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(tokens) - 3, F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, 4), " ")))
-    found = docs.select("doc_id", F.explode(keys).alias("key")).join(F.broadcast(b), "key").select("item_id", "doc_id", "passage")
+    found = docs.select("doc_id", F.explode(keys).alias("key")).join(small(b), "key").select("item_id", "doc_id", "passage")
     return found.join(docs, "doc_id").where(F.contains("text", "passage")).select("item_id", "doc_id").distinct()
 
 
-@query("near_copies", f"WITH e AS ({datasets.SQL['letters']}), n AS (SELECT item_id, vec, list_sum(vec) AS total FROM e) SELECT a.item_id AS a, b.item_id AS b FROM n a JOIN n b ON a.total = b.total AND a.vec = b.vec AND a.item_id < b.item_id")
+@query("near_copies", f"WITH e AS ({datasets.SQL['letters']}) SELECT item_id, class_id FROM (SELECT item_id, min(item_id) OVER (PARTITION BY vec) AS class_id, count(*) OVER (PARTITION BY vec) AS n FROM e) WHERE n > 1")
 def _near_copies(spark: SparkSession, d: str) -> DataFrame:
-    x = datasets.items(spark, d, "letters")
-    return x.alias("a").join(x.alias("b"), (F.col("a.vec") == F.col("b.vec")) & (F.col("a.item_id") < F.col("b.item_id"))).select(F.col("a.item_id").alias("a"), F.col("b.item_id").alias("b"))
+    """Items of equal vectors with the smallest id of their class: membership, not pairs."""
+    x = Workspace(spark, "copies").keep(datasets.items(spark, d, "letters"), "items")
+    classes = x.groupBy("vec").agg(F.min("item_id").alias("class_id"), F.count(F.lit(1)).alias("n")).where("n > 1").select("vec", "class_id")
+    return x.join(classes, "vec").select("item_id", "class_id")
 
 
 from vecroute import experiments  # noqa: E402,F401  registers the experiment workloads
+from vecroute import served  # noqa: E402,F401  registers walks, streams, serving and SQL functions
 from vecroute.operators import relational  # noqa: E402,F401  registers the surrounding operators
