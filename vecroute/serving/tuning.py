@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import math
+import functools
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -38,32 +38,29 @@ def sweep(index: builder.Index, queries: DataFrame, truth: DataFrame, branchings
     return out
 
 
-def least_work(ask: Callable[[int], DataFrame], queries: DataFrame, truth: DataFrame, target: float, k: int = 10, most: int = 4096, steps: int = 7) -> Setting:
-    """The smallest cap on evaluations per visited part that reaches ``target``, by bisection; ``l`` holds the cap.
+def least_work(ask: Callable[[int], DataFrame], queries: DataFrame, truth: DataFrame, target: float, k: int = 10, rungs: int = 5, factor: float = 2.4) -> Setting:
+    """Evaluations per query at ``target``, over a ladder of caps per visited part from ``k`` upwards.
 
-    ``ask(cap)`` gives partial answers with their ``evals``. If no cap up to ``most`` reaches
-    the target, the setting of the largest is returned.
+    Between the last cap below the target and the first that reaches it, evaluations
+    are interpolated, so that systems are compared at equal precision; ``l`` holds the latter cap.
+
+    ``ask(cap)`` gives partial answers with their ``evals``; all caps are asked in one
+    job. If none reaches the target, the setting of the largest is returned.
     """
     workspace, n = Workspace(queries.sparkSession, "least"), queries.count()
-
-    def at(cap: int) -> Setting:
-        found = workspace.keep(ask(cap), "partials")
-        per = found.select("query_id", "sub_id", "evals").distinct().agg(F.sum("evals")).first()[0] or 0
-        out = Setting(0, cap, measures.precision(search.merge_top_k(found, k), truth, k).first().precision, per / max(1, n))
-        workspace.drop(found)
-        return out
-
-    # Caps grow by a factor, so the search is over their logarithm.
-    low, high = math.log2(k), math.log2(most)
-    best = at(most)
-    for _ in range(steps if best.precision >= target else 0):
-        middle = (low + high) / 2
-        s = at(round(2**middle))
-        if s.precision >= target:
-            best, high = s, middle
-        else:
-            low = middle
-    return best
+    caps = sorted({round(k * factor**i) for i in range(rungs)})
+    frames = [ask(c).select(F.lit(c).alias("cap"), "query_id", "sub_id", "item_id", "score", "evals") for c in caps]
+    found = workspace.keep(functools.reduce(DataFrame.unionByName, frames), "partials")
+    once = found.groupBy("cap", "query_id", "item_id").agg(F.max("score").alias("score")).withColumn("cq", F.struct("cap", "query_id"))
+    reached = measures.precision(router.top_rank(once, "cq", k), truth, k, ["cap"])
+    work = found.groupBy("cap", "query_id", "sub_id").agg(F.max("evals").alias("evals")).groupBy("cap").agg(F.sum("evals").alias("evals"))
+    settings = [Setting(0, r.cap, r.precision, r.evals / max(1, n)) for r in reached.join(work, "cap").orderBy("cap").collect()]
+    at = next((i for i, x in enumerate(settings) if x.precision >= target), None)
+    if at is None or at == 0:
+        return settings[-1 if at is None else 0]
+    below, above = settings[at - 1], settings[at]
+    part = (target - below.precision) / (above.precision - below.precision)
+    return Setting(0, above.l, target, below.evals + part * (above.evals - below.evals))
 
 
 def match_precision(index: builder.Index, queries: DataFrame, truth: DataFrame, target: float, branchings: list[int], beams: list[int], k: int = 10) -> Setting:
