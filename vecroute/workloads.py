@@ -486,8 +486,9 @@ def _passages(spark: SparkSession, d: str) -> DataFrame:
     cut = lambda c: F.split(c, "[ \n]")
     b = table(spark, d, "benchmark").select("item_id", F.col("text").alias("passage"), F.array_join(F.slice(cut("text"), 2, 4), " ").alias("key"))
     docs = table(spark, d, "documents").select("doc_id", "text")
-    tokens = cut("text")
-    keys = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(tokens) - 3, F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, 4), " ")))
+    runs = lambda t: F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(t) - 3, F.lit(1))), lambda i: F.array_join(F.slice(t, i, 4), " ")))
+    # Bound once a row: a split inside the inner lambda would be repeated for every word.
+    keys = F.transform(F.array(cut("text")), runs)[0]
     found = docs.select("doc_id", F.explode(keys).alias("key")).join(small(b), "key").select("item_id", "doc_id", "passage")
     return found.join(docs, "doc_id").where(F.contains("text", "passage")).select("item_id", "doc_id").distinct()
 
