@@ -1,12 +1,14 @@
 """Cuts, placement, routing, replicas, merging and whole indexes."""
 
+import math
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from vecroute import experiments
 from vecroute.baselines import kdtree, lsh, quantised, random_split
-from vecroute.functions import measures, vectors
+from vecroute.functions import kernels, measures, vectors
 from vecroute.graphs import walk_df
 from vecroute.plans import builder, centers, cutgraph, mips, router, sampling, search
 from vecroute.runtime import table
@@ -101,6 +103,29 @@ def test_precision_never_falls_with_branching(emb, index):
     assert p == sorted(p) and p[-1] == 1.0
 
 
+def test_radius_search_by_routing(emb, index):
+    every = {(q.query_id, x.item_id) for q in emb[1].collect() for x in emb[0].collect() if math.dist(q.vec, x.vec) <= 1.2}
+    found = [{(r.query_id, r.item_id): r.score for r in builder.within(index, emb[1], k, -1.2, "exact").collect()} for k in (1, 30)]
+    assert set(found[0]) <= set(found[1]) == every
+    assert min(found[1].values()) >= -1.2
+
+
+@pytest.mark.parametrize("metric", ["l2", "cosine", "ip"])
+def test_pairs_from_a_threshold(metric):
+    rng = np.random.default_rng(5)
+    q, x = rng.normal(size=(7, 4)), rng.normal(size=(90, 4))
+    x[1] = q[0]
+    least = {"l2": -1.0, "cosine": 0.7, "ip": 2.0}[metric]
+    row, ids, s = kernels.pairs_from(q, x, np.arange(90) + 100, least, metric)
+    want = kernels.score_matrix(q, x, metric)
+    assert set(zip(row.tolist(), (ids - 100).tolist(), strict=True)) == set(map(tuple, np.argwhere(want >= least).tolist()))
+    assert np.allclose(s, want[row, ids - 100], atol=1e-7) and (s >= least).all()
+    if metric == "l2":
+        assert kernels.pairs_from(q, x, np.arange(90), 0.0, "l2")[1].tolist() == [1] and not kernels.pairs_from(q, x, np.arange(90), 0.1, "l2")[1].size
+    assert not kernels.pairs_from(q[:0], x, np.arange(90), least, metric)[0].size
+    assert not kernels.pairs_from(q, x[:0], np.arange(0), least, metric)[0].size
+
+
 def test_curve_in_one_pass_equals_single_runs(emb, index):
     got = {r.branching: r for r in experiments.curve(index, emb[1], emb[2], (1, 5)).collect()}
     for k in (1, 5):

@@ -42,6 +42,15 @@ def scores_at(q: np.ndarray, x: np.ndarray, metric: str) -> np.ndarray:
     return np.einsum("ik,ijk->ij", q, x)
 
 
+def _scores_of(q: np.ndarray, x: np.ndarray, row: np.ndarray, col: np.ndarray, metric: str) -> np.ndarray:
+    """Similarities of prepared q[row] to prepared x[col] by differences, so that equal vectors tie exactly."""
+    s = np.empty(row.size)
+    for at in range(0, row.size, 1 << 16):
+        a, b = q[row[at : at + (1 << 16)]], x[col[at : at + (1 << 16)]]
+        s[at : at + (1 << 16)] = -np.sqrt(np.einsum("ij,ij->i", b - a, b - a)) if metric == "l2" else np.einsum("ij,ij->i", a, b)
+    return s
+
+
 def best_pairs(q: np.ndarray, x: np.ndarray, ids: np.ndarray, k: int, metric: str, skip: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(query positions, ids, scores) of the best ``k`` items of each query, best first, ties to the smaller id.
 
@@ -58,16 +67,31 @@ def best_pairs(q: np.ndarray, x: np.ndarray, ids: np.ndarray, k: int, metric: st
     kth = np.partition(g, g.shape[1] - k, axis=1)[:, g.shape[1] - k]
     room = 1e-9 * (1 + np.abs(np.where(np.isfinite(kth), kth, 0)) + ((q * q).sum(axis=1) if metric == "l2" else 0))
     row, col = np.nonzero((g >= (kth - room)[:, None]) & np.isfinite(g))
-    s = np.empty(row.size)
-    for at in range(0, row.size, 1 << 16):
-        a, b = q[row[at : at + (1 << 16)]], x[col[at : at + (1 << 16)]]
-        s[at : at + (1 << 16)] = -np.sqrt(np.einsum("ij,ij->i", b - a, b - a)) if metric == "l2" else np.einsum("ij,ij->i", a, b)
+    s = _scores_of(q, x, row, col, metric)
     order = np.lexsort((ids[col], -s, row))
     row, col, s = row[order], col[order], s[order]
     keep = np.arange(row.size) - np.searchsorted(row, row, "left") < k
     return row[keep], ids[col[keep]], s[keep]
 
 
+def pairs_from(q: np.ndarray, x: np.ndarray, ids: np.ndarray, least: float, metric: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query positions, ids, scores) of all pairs whose similarity is ``least`` or more.
+
+    A matrix product finds candidates, with room for its rounding; they are scored
+    again by differences.
+    """
+    q, x = prepared(q, metric), prepared(x, metric)
+    if not len(q) or not len(x) or (metric == "l2" and least > 0):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+    squares = (q * q).sum(axis=1) if metric == "l2" else np.zeros(len(q))
+    bound = squares - least * least if metric == "l2" else np.full(len(q), float(least))
+    room = 1e-9 * (1 + np.abs(bound) + squares + (q * q).sum(axis=1) ** 0.5 * (x * x).sum(axis=1).max() ** 0.5)
+    row, col = np.nonzero(rank_matrix(q, x, metric) >= (bound - room)[:, None])
+    s = _scores_of(q, x, row, col, metric)
+    keep = s >= least
+    return row[keep], ids[col[keep]], s[keep]
+
+
 def top_k(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """(ids, scores) of the best k per row, ties to the smaller id; rows may be shorter than k wide."""
     k = min(k, scores.shape[1])

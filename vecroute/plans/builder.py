@@ -206,6 +206,14 @@ def ask(index: Index, queries: DataFrame, branching: int, k: int, l: int | None
     return search.merge_top_k(partials(index, routed, k, l, max_evals, exact, chunks), k)
 
 
+def within(index: Index, queries: DataFrame, branching: int, least: float, mode: str = "graph") -> DataFrame:
+    """``query_id, item_id, score`` of every item of similarity ``least`` or more in the parts a query is routed to; copies count once."""
+    p = index.params
+    q = queries.select("query_id", vectors.normalise(F.col("vec")).alias("vec")) if p.metric == "cosine" else queries
+    found = search.radius_subs(router.route(q, index.meta, branching, mode), index.placement, least, p.metric)
+    return found.groupBy("query_id", "item_id").agg(F.max("score").alias("score"))
+
+
 def partials(index: Index, routed: DataFrame, k: int, l: int | None = None, max_evals: int | None = None, exact: bool = False, chunks: int = 1) -> DataFrame:  # noqa: E741
     p = index.params
     if exact:

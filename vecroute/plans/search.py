@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import functools
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -80,7 +80,18 @@ def _matrix(t: pa.Table) -> np.ndarray:
 
 
 def scan_subs(routed: DataFrame, placement: DataFrame, k: int, metric: str = "l2", scan_items: int = SCAN_ITEMS, scan_queries: int = SCAN_QUERIES) -> DataFrame:
-    """The same by scoring every item of the visited parts: routing loss without graph loss.
+    """The same by scoring every item of the visited parts: routing loss without graph loss."""
+    found = _scan(routed, placement, lambda q, x, ids: kernels.best_pairs(q, x, ids, k, metric), scan_items, scan_queries)
+    return top_rank(found.withColumn("qs", F.struct("query_id", "sub_id")), "qs", k).drop("qs", "rank")
+
+
+def radius_subs(routed: DataFrame, placement: DataFrame, least: float, metric: str = "l2", scan_items: int = SCAN_ITEMS, scan_queries: int = SCAN_QUERIES) -> DataFrame:
+    """``query_id, sub_id, item_id, score`` of every item of the visited parts whose similarity is ``least`` or more; nothing is cut."""
+    return _scan(routed, placement, lambda q, x, ids: kernels.pairs_from(q, x, ids, least, metric), scan_items, scan_queries)
+
+
+def _scan(routed: DataFrame, placement: DataFrame, pick: Callable[[np.ndarray, np.ndarray, np.ndarray], tuple], scan_items: int, scan_queries: int) -> DataFrame:
+    """``query_id, sub_id, item_id, score`` of what ``pick(queries, items, ids)`` takes of each part.
 
     Queries and items of a part meet once, in blocked matrix products. A part of many
     items or queries is dealt to as many tasks as its counts ask for.
@@ -101,15 +112,14 @@ def scan_subs(routed: DataFrame, placement: DataFrame, k: int, metric: str = "l2
             ids, x = rows.column("item_id").to_numpy(), _matrix(rows)
             step = max(1, (1 << 24) // len(ids))
             for at in range(0, len(qid), step):
-                row, found, scores = kernels.best_pairs(q[at : at + step], x, ids, k, metric)
+                row, found, scores = pick(q[at : at + step], x, ids)
                 out.append((qid[at + row], found, scores))
         parts = [np.concatenate(c) for c in zip(*out, strict=True)] if out else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
         sub = queries.column("sub_id")[0].as_py() if queries.num_rows else 0
         return pa.table({"query_id": pa.array(parts[0], pa.int64()), "sub_id": pa.array(np.full(len(parts[0]), sub, np.int32)), "item_id": pa.array(parts[1], pa.int64()), "score": pa.array(parts[2], pa.float64())})
 
     keys = ["sub_id", "ic", "qc"]
-    found = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, "query_id long, sub_id int, item_id long, score double")
-    return top_rank(found.withColumn("qs", F.struct("query_id", "sub_id")), "qs", k).drop("qs", "rank")
+    return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, "query_id long, sub_id int, item_id long, score double")
 
 
 def merge_top_k(partials: DataFrame, k: int) -> DataFrame:

@@ -438,6 +438,16 @@ def _radius(spark: SparkSession, d: str) -> DataFrame:
     return x.crossJoin(small(q.select("query_id", F.col("vec").alias("q")))).where(s >= -1.2).select("query_id", "item_id", F.round(s, 6).alias("score"))
 
 
+@query("radius_search_routed", f"WITH {ctes()}, {sql_route('l2')}, {sql_placed('l2')}, v AS (SELECT DISTINCT query_id, sub_id FROM r WHERE rank <= 5) SELECT v.query_id, p.item_id, round(-list_distance(q.vec, p.vec), 6) AS score FROM v JOIN p ON p.sub_id = v.sub_id JOIN q ON q.query_id = v.query_id WHERE list_distance(q.vec, p.vec) <= 1.2")
+def _radius_routed(spark: SparkSession, d: str) -> DataFrame:
+    """All items within the radius in the parts that hold one of a query's five nearest centres."""
+    x, q, c = fixed(spark, d)
+    ws = Workspace(spark, "radius")
+    routed = ws.keep(router.route_sql(q, c, 5).join(q, "query_id"), "routed")
+    found = search.radius_subs(routed, ws.keep(router.assign_sql(x, c), "placed"), -1.2)
+    return found.select("query_id", "item_id", F.round("score", 6).alias("score"))
+
+
 @query("filtered_search", f"WITH {ctes()}, f AS (SELECT e.* FROM e JOIN embeddings ON vec_id = item_id WHERE label IN (1, 3)), t AS (SELECT * FROM (SELECT query_id, item_id, s, row_number() OVER (PARTITION BY query_id ORDER BY s DESC, item_id) AS rank FROM (SELECT query_id, f.item_id, -list_distance(q.vec, f.vec) AS s FROM q, f)) WHERE rank <= {K}) {SQL_ANSWER}")
 def _filtered(spark: SparkSession, d: str) -> DataFrame:
     _, q, _ = fixed(spark, d)
