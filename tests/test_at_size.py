@@ -112,3 +112,22 @@ def test_a_beam_of_all_vertices_finds_all(monkeypatch):
     want = np.lexsort((np.broadcast_to(np.arange(47), d.shape), d), axis=1)[:, :5]
     assert ids.tolist() == want.tolist() and (scores == -np.take_along_axis(d, want, 1)).all()
     assert not any(walked) and (stats.evals >= 47).all() and (stats.hops >= 47).all()
+
+
+def test_models_follow_the_event_log(spark, tmp_path):
+    """Requests, copies and paced batches come from the given tables, whatever their size."""
+    import datetime
+
+    n = 137
+    ts = [datetime.datetime(2024, 1, 1) + datetime.timedelta(seconds=97 * i) for i in range(n)]
+    pq.write_table(pa.table({"event_id": np.arange(n), "ts": pa.array(ts, pa.timestamp("us")), "value": np.arange(n) % 23 + 0.5}), tmp_path / "events.parquet")
+    pq.write_table(pa.table({"o_orderkey": np.arange(n), "o_totalprice": np.arange(n) / 2}), tmp_path / "orders.parquet")
+    at = str(tmp_path)
+    assert {r.offered for r in QUERIES["dispatch_conserves_requests"](spark, at).collect()} == {n}
+    assert QUERIES["failure_conserves_requests"](spark, at).first().offered == n
+    run = QUERIES["w_failure"](spark, at)
+    assert run.count() == 700 and round(run.agg(F.sum("served")).first()[0] + run.where("t = 699").first().queued) == n
+    assert QUERIES["w_straggler"](spark, at).count() == 6
+    copies = QUERIES["replica_placement"](spark, at).collect()
+    assert sum(r.asked for r in copies) == 2 * n and len({(r.sub_id, r.executor_id) for r in copies}) == 20
+    assert sorted(r.value for r in QUERIES["stream_rate_source"](spark, at).collect()) == list(range(n))
