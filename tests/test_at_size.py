@@ -131,3 +131,19 @@ def test_models_follow_the_event_log(spark, tmp_path):
     copies = QUERIES["replica_placement"](spark, at).collect()
     assert sum(r.asked for r in copies) == 2 * n and len({(r.sub_id, r.executor_id) for r in copies}) == 20
     assert sorted(r.value for r in QUERIES["stream_rate_source"](spark, at).collect()) == list(range(n))
+
+
+def test_bucket_search_ranks_all_that_share_a_code(spark):
+    """The block search equals the join on codes followed by ranking, and makes no pairs."""
+    from vecroute.baselines import lsh
+
+    x = np.random.default_rng(6).standard_normal((400, 6))
+    items = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "item_id long, vec array<double>")
+    q = items.where("item_id % 20 = 0").select(F.col("item_id").alias("query_id"), "vec")
+    found = lsh.ask(q, items, 5, "cosine", 3, 4)
+    plan = plan_of(found)
+    assert "Join" not in plan and "MapInArrow" in plan
+    pairs = {(r.query_id, r.item_id) for r in lsh.sign_candidates(q, items, lsh.planes(6, 3, 4)).collect()}
+    u = kernels.unit(x)
+    want = {(int(a), n + 1, int(i)) for a in range(0, 400, 20) for n, i in enumerate(sorted((i for b, i in pairs if b == a), key=lambda i: -(u[a] @ u[i]))[:5])}
+    assert {(r.query_id, r.rank, r.item_id) for r in found.collect()} == want

@@ -88,12 +88,19 @@ def ask(items: DataFrame, queries: DataFrame, quantiser: Quantiser, k: int, metr
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pq, qid, q = shared.value
+        best_ids, best = np.zeros((len(qid), 0), np.int64), np.zeros((len(qid), 0))
         for whole in batches:
-            for s in range(0, whole.num_rows, 4096):
+            for s in range(0, whole.num_rows if len(qid) else 0, 4096):
                 b = whole.slice(s, 4096)
                 x = np.asarray(b.column(1).flatten().to_numpy(zero_copy_only=False), np.float64).reshape(b.num_rows, -1)
-                ids, scores = kernels.top_k(pq.scores(q, pq.encode(x), metric), b.column(0).to_numpy(), depth)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qid, ids.shape[1])), pa.array(ids.reshape(-1)), pa.array(scores.reshape(-1))], ["query_id", "item_id", "score"])
+                code, item = pq.encode(x), b.column(0).to_numpy()
+                found = [kernels.top_k(pq.scores(q[a : a + 512], code, metric), item, depth) for a in range(0, len(qid), 512)]
+                ids = np.concatenate([best_ids, np.concatenate([f[0] for f in found])], axis=1)
+                scores = np.concatenate([best, np.concatenate([f[1] for f in found])], axis=1)
+                order = np.lexsort((ids, -scores), axis=1)[:, :depth]
+                best_ids, best = np.take_along_axis(ids, order, 1), np.take_along_axis(scores, order, 1)
+        if best.size:
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qid, best.shape[1])), pa.array(best_ids.reshape(-1)), pa.array(best.reshape(-1))], ["query_id", "item_id", "score"])
 
     partial = items.select("item_id", F.col("vec").cast("array<double>").alias("vec")).mapInArrow(run, "query_id long, item_id long, score double")
     best = top_rank(partial, "query_id", depth)
