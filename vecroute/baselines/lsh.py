@@ -51,7 +51,7 @@ def sign_codes(rows: DataFrame, key: str, p: np.ndarray, keep: int) -> DataFrame
             code = ((x @ p.reshape(tables * bits, -1).T > 0).reshape(len(x), tables, bits) * weights).sum(axis=2)
             yield pa.RecordBatch.from_arrays([b.column(0), _lists(x[:, :keep], pa.float64()), _lists(code.astype(np.float64), pa.float64())], [key, "vec", "code"])
 
-    return rows.select(key, F.col("vec").cast("array<double>").alias("vec")).mapInArrow(run, f"{key} long, vec array<double>, code array<double>")
+    return rows.select(F.col(key).cast("long").alias(key), F.col("vec").cast("array<double>").alias("vec")).mapInArrow(run, f"{key} long, vec array<double>, code array<double>")
 
 
 def _matrix(column: pa.Array) -> np.ndarray:
@@ -128,5 +128,5 @@ def ask_l2(queries: DataFrame, items: DataFrame, k: int, threshold: float, bucke
     q, x = queries.select("query_id", "vec", features), items.select("item_id", "vec", features)
     model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=bucket, numHashTables=tables, seed=seed).fit(x)
     code = F.array(*[vector_to_array(F.col("hashes")[j])[0] for j in range(tables)])
-    q, x = (model.transform(r).select(c, F.col("vec").cast("array<double>").alias("vec"), code.alias("code")) for r, c in ((q, "query_id"), (x, "item_id")))
+    q, x = (model.transform(r).select(F.col(c).cast("long").alias(c), F.col("vec").cast("array<double>").alias("vec"), code.alias("code")) for r, c in ((q, "query_id"), (x, "item_id")))
     return best_of_buckets(q, x, k, "l2", -threshold)
