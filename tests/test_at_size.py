@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from vecroute import workloads  # noqa: F401  registers the queries
 from vecroute.functions import kernels
-from vecroute.graphs import hnsw
+from vecroute.graphs import hnsw, knn_graph
 from vecroute.plans import centers, mips, router, search
 from vecroute.registry import QUERIES
 
@@ -114,6 +114,32 @@ def test_a_beam_of_all_vertices_finds_all(monkeypatch):
     assert not any(walked) and (stats.evals >= 47).all() and (stats.hops >= 47).all()
 
 
+@pytest.mark.parametrize("metric", ["l2", "ip"])
+def test_nearest_rows_equal_a_full_sort(metric):
+    """Copies tie exactly and go to the smaller position, also where columns are folded and where all rows are one."""
+    rng = np.random.default_rng(7)
+    for x, k in ((rng.integers(-4, 5, (700, 3)).astype(float), 5), (rng.integers(-4, 5, (90, 3)).astype(float), 89), (np.ones((300, 2)), 4), (np.ones((1, 2)), 0)):
+        g = kernels.rank_matrix(x, x, metric)
+        np.fill_diagonal(g, -np.inf)
+        at, worth = kernels.nearest_rows(x, k, metric)
+        assert (at == np.argsort(-g, axis=1, kind="stable")[:, :k]).all() and (worth == np.take_along_axis(g, at, 1)).all()
+
+
+def test_both_graphs_of_a_part_share_neighbours(monkeypatch):
+    """Blocks of a few rows are scored, once for both graphs, which are what each builds alone."""
+    x = np.random.default_rng(8).standard_normal((1500, 5))
+    ids, cells = np.arange(1500), []
+    monkeypatch.setattr(kernels, "rank_matrix", lambda q, y, m, f=kernels.rank_matrix: cells.append(len(q) * len(y)) or f(q, y, m))
+    alone = knn_graph.build(ids, x, 16), hnsw.build_bulk(ids, x)
+    assert max(cells) <= 64 * 1500
+    near = kernels.nearest_rows(x, 64, "l2")
+    cells.clear()
+    shared = knn_graph.build(ids, x, 16, near=near[0]), hnsw.build_bulk(ids, x, near0=near)
+    assert sum(cells) < 1500 * 150
+    for a, b in zip(alone, shared, strict=True):
+        assert all((p.links == q.links).all() for p, q in zip(a.layers, b.layers, strict=True))
+
+
 def test_models_follow_the_event_log(spark, tmp_path):
     """Requests, copies and paced batches come from the given tables, whatever their size."""
     import datetime

@@ -17,24 +17,23 @@ def build_rows(items: DataFrame, degree: int, metric: str = "l2") -> DataFrame:
     return found.select(F.col("query_id").alias("node"), "rank", F.col("item_id").alias("neighbour"), "score")
 
 
-def build(ids: np.ndarray, x: np.ndarray, degree: int = 16, metric: str = "l2", mutual: bool = True) -> hnsw.Graph:
-    """The same graph for a numpy walk; ``mutual`` also links each node back."""
+def build(ids: np.ndarray, x: np.ndarray, degree: int = 16, metric: str = "l2", mutual: bool = True, near: np.ndarray | None = None) -> hnsw.Graph:
+    """The same graph for a numpy walk; ``mutual`` also links each node back.
+
+    ``near`` holds the positions that ``kernels.nearest_rows`` gives for the items in id order, where they are known.
+    """
     order = np.argsort(ids)
     ids, x = np.asarray(ids)[order], kernels.prepared(np.asarray(x)[order], metric)
-    g = kernels.rank_matrix(x, x, metric)
-    np.fill_diagonal(g, -np.inf)
-    k = min(degree, len(ids) - 1)
-    near = np.argsort(-g, axis=1, kind="stable")[:, :k]
-    rows = [set(r.tolist()) for r in near]
-    if mutual:
-        for u, r in enumerate(near.tolist()):
-            for v in r:
-                rows[v].add(u)
-    width = max(map(len, rows), default=1) or 1
-    links = np.full((len(ids), width), -1, np.int64)
-    for u, r in enumerate(rows):
-        links[u, : len(r)] = sorted(r)
-    return hnsw.Graph(ids, x, metric, [hnsw.Layer(np.arange(len(ids)), links)], 0, width, width)
+    n, k = len(ids), max(0, min(degree, len(ids) - 1))
+    near = (kernels.nearest_rows(x, k, metric)[0] if near is None else near)[:, :k]
+    source, target = np.repeat(np.arange(n), k), near.reshape(-1)
+    pairs = np.unique(np.concatenate([source * n + target, target * n + source] if mutual else [source * n + target]))
+    row, col = np.divmod(pairs, max(1, n))
+    place = np.arange(row.size) - np.searchsorted(row, row, "left")
+    width = int(place.max(initial=0)) + 1
+    links = np.full((n, width), -1, np.int64)
+    links[row, place] = col
+    return hnsw.Graph(ids, x, metric, [hnsw.Layer(np.arange(n), links)], 0, width, width)
 
 
 def search(graph: hnsw.Graph, queries: np.ndarray, k: int, l: int, start: int | None = None):  # noqa: E741
