@@ -114,6 +114,22 @@ def test_a_beam_of_all_vertices_finds_all(monkeypatch):
     assert not any(walked) and (stats.evals >= 47).all() and (stats.hops >= 47).all()
 
 
+@pytest.mark.parametrize("k", [1, 7])
+@pytest.mark.parametrize("metric", ["l2", "ip"])
+def test_many_centers_are_ranked_in_small_blocks(monkeypatch, metric, k):
+    """No block of scores outgrows a cache, and copies still go to the smaller position, pairs that are left out included."""
+    rng = np.random.default_rng(9)
+    q, x = rng.integers(-2, 3, (700, 4)).astype(float), rng.integers(-2, 3, (5000, 4)).astype(float)
+    skip, cells = rng.random((700, 5000)) < 0.3, []
+    monkeypatch.setattr(kernels, "rank_matrix", lambda *a, f=kernels.rank_matrix: cells.append(len(a[0]) * len(a[1])) or f(*a))
+    row, col, score = kernels.best_pairs(q, x, np.arange(5000), k, metric, skip)
+    assert max(cells) <= 1 << 20 and sum(cells) == 700 * 5000
+    true = q @ x.T if metric == "ip" else -np.sqrt(((q[:, None] - x) ** 2).sum(axis=2))
+    want = np.argsort(-np.where(skip, -np.inf, true), axis=1, kind="stable")[:, :k]
+    assert (row.reshape(700, k) == np.arange(700)[:, None]).all() and (col.reshape(700, k) == want).all()
+    assert (score.reshape(700, k) == np.take_along_axis(true, want, 1)).all()
+
+
 @pytest.mark.parametrize("metric", ["l2", "ip"])
 def test_nearest_rows_equal_a_full_sort(metric):
     """Copies tie exactly and go to the smaller position, also where columns are folded and where all rows are one."""
